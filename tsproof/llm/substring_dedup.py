@@ -5,7 +5,8 @@ windows of ``width - v + 1`` words that start at positions p with ``p mod v`` in
 ``width`` words, at i and j, some shift below v puts both i + shift and j + shift on cover positions, so the pair
 shares an aligned anchor.  Three steps follow:
 
-1. anchors go, packed by hash bucket, to the tasks that own their bucket; repeated ones return to their documents;
+1. anchors go, packed by hash bucket, to the tasks that own their bucket; repeated ones return, packed by document
+   range, to their documents;
 2. each repeated anchor extends to the full windows around it, which are hashed with 96 bits and dealt by bucket;
    the earliest (doc_id, start) of each window stays, every other occurrence is a repeat;
 3. words covered by repeats are removed, and the rest is joined by one space.
@@ -94,20 +95,29 @@ def by_document(doc: np.ndarray, pos: np.ndarray) -> Iterator[pa.RecordBatch]:
     doc, pos = doc[order], pos[order].astype(np.uint32)
     cuts = np.concatenate(([0], np.flatnonzero(np.diff(doc)) + 1, [len(doc)]))
     packed = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(cuts) - 1, [None, pa.py_buffer((cuts * 4).astype(np.int64)), pa.py_buffer(np.ascontiguousarray(pos))])
-    yield pa.RecordBatch.from_arrays([pa.array(doc[cuts[:-1]]), packed.cast(pa.binary())], names=["doc_id", "pos"])
+    yield pa.RecordBatch.from_arrays([pa.array(doc[cuts[:-1]]), packed.cast(pa.binary())], names=["doc_id", "at"])
 
 
-def _settle(earliest: bool):
-    """The owner of a bucket: which of its rows are repeats."""
+def _gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The owner of a range of documents: one row for each document."""
+    doc, pos = [], []
+    for b in batches:
+        doc += b.column(1).to_pylist()
+        pos += b.column(2).to_pylist()
+    yield from by_document(unplanes(doc, np.int64), unplanes(pos, np.uint32))
+
+
+def _settle(earliest: bool, owners: int):
+    """The owner of a bucket: which of its rows are repeats, packed for the owners of their documents."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         parts: list[list[bytes]] = [[], [], [], []]
+        sure: list[list[bytes]] = [[], []]
         for b in batches:
             known = np.asarray(b.column(1).to_pylist(), bool)
             cols = [b.column(i).to_pylist() for i in range(2, 6)]
-            if known.any():
-                at = np.flatnonzero(known)
-                yield from by_document(unplanes([cols[2][i] for i in at], np.int64), unplanes([cols[3][i] for i in at], np.uint32))
+            for part, col in zip(sure, cols[2:], strict=True):
+                part += [col[i] for i in np.flatnonzero(known)]
             for part, col in zip(parts, cols, strict=True):
                 part += [col[i] for i in np.flatnonzero(~known)]
         h1, h2, doc, pos = (unplanes(p, t) for p, t in zip(parts, (np.uint64, np.uint32, np.int64, np.uint32), strict=True))
@@ -118,7 +128,14 @@ def _settle(earliest: bool):
         if not earliest:
             repeat[:-1] |= same
         picked = order[repeat]
-        yield from by_document(doc[picked], pos[picked])
+        doc = np.concatenate((doc[picked], unplanes(sure[0], np.int64)))
+        pos = np.concatenate((pos[picked], unplanes(sure[1], np.uint32)))
+        owner = (textkit.mix(doc.view(np.uint64)) % np.uint64(owners)).astype(np.int64)
+        order = np.lexsort((pos, doc, owner))
+        rows = [(int(owner[x[0]]), planes(doc[x]), planes(pos[x])) for x in np.split(order, np.flatnonzero(np.diff(owner[order])) + 1) if len(x)]
+        types = (pa.int32(), pa.binary(), pa.binary())
+        cols = list(zip(*rows, strict=True)) or [()] * 3
+        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types, strict=True)], names=["owner", "doc", "pos"])
 
     return run
 
@@ -146,16 +163,11 @@ def _anchors(width: int, modulus: int, buckets: int):
 
 
 def _positions(column: pa.Array, w: textkit.Words) -> tuple[np.ndarray, np.ndarray]:
-    """Row number and global word index of the packed positions, a list of blobs per row."""
-    rows, found = [], []
-    for i, blobs in enumerate(column.to_pylist()):
-        if blobs:
-            p = np.frombuffer(b"".join(blobs), np.uint32).astype(np.int64)
-            rows.append(np.full(len(p), i))
-            found.append(p + w.first[i])
-    if not rows:
-        return np.zeros(0, np.int64), np.zeros(0, np.int64)
-    return np.concatenate(rows), np.concatenate(found)
+    """Row number and global word index of the packed positions."""
+    raw, offsets = textkit.buffers(column)
+    pos = np.frombuffer(raw.tobytes(), np.uint32).astype(np.int64)
+    rows = np.repeat(np.arange(len(column)), np.diff(offsets) // 4)
+    return rows, pos + w.first[rows]
 
 
 def _extend(width: int, modulus: int, buckets: int):
@@ -237,7 +249,8 @@ def substring_dedup(docs: DataFrame, width: int = 20, modulus: int = 13, with_te
     docs = shared.one_row_per_id(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), "doc_id", "text")
 
     def settled(rows: DataFrame, earliest: bool) -> DataFrame:
-        return rows.repartition(n, "bucket").mapInArrow(_settle(earliest), "doc_id long, pos binary").groupBy("doc_id").agg(F.collect_list("pos").alias("at"))
+        packed = rows.repartition(n, "bucket").mapInArrow(_settle(earliest, max(512, 4 * n)), "owner int, doc binary, pos binary")
+        return packed.repartition(n, "owner").mapInArrow(_gather, "doc_id long, at binary")
 
     repeated = settled(docs.mapInArrow(_anchors(width, modulus, buckets), PACKED), False)
     around = docs.join(repeated.hint("merge"), "doc_id").select("doc_id", "text", "at")
