@@ -77,18 +77,32 @@ class Best:
         np.maximum.at(self.filled, q[top], rank[top] + 1)
 
 
-def survivors(x_stats: list[np.ndarray], q_stats: list[np.ndarray], floor: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Pairs (query, row) whose bounds reach the floor at every level; a hair of slack covers rounding."""
-    bound = q_stats[0] @ x_stats[0].T
-    q, x = np.nonzero(bound * (1 + 1e-9 * np.sign(bound)) + 1e-6 >= floor[:, None])
+def _reaches(bound: np.ndarray, floor: np.ndarray) -> np.ndarray:
+    """A hair of slack covers rounding."""
+    return bound + 1e-9 * np.abs(bound) + 1e-6 >= floor
+
+
+def candidates(x: np.ndarray, q: np.ndarray, x_stats: list[np.ndarray], q_stats: list[np.ndarray], floor: np.ndarray, dense: float = 0.02) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(query, row, score) of the pairs whose bounds and scores reach the query's floor.
+
+    Rows and queries without a pair left drop out after the coarse level.  Where more than ``dense`` of the pairs are
+    left, one matrix product scores the remaining block (exact, as all sums stay below 2**53); else each finer level
+    thins the pairs before they are scored one by one.
+    """
+    mask = _reaches(q_stats[0] @ x_stats[0].T, floor[:, None])
+    rows, cols = np.flatnonzero(mask.any(axis=1)), np.flatnonzero(mask.any(axis=0))
+    small = float(np.abs(x).max(initial=0)) * float(np.abs(q).max(initial=0)) * x.shape[1] < 2**53
+    if small and mask.sum() > dense * mask.size:
+        score = q[rows] @ x[cols].T
+        qi, xi = np.nonzero(mask[np.ix_(rows, cols)] & (score >= floor[rows][:, None]))
+        return rows[qi], cols[xi], score[qi, xi].astype(np.int64)
+    qi, xi = np.nonzero(mask)
     for a, b in zip(q_stats[1:], x_stats[1:], strict=True):
-        keep = []
-        for i in range(0, len(q), 1 << 18):
-            fine = np.einsum("ij,ij->i", a[q[i : i + (1 << 18)]], b[x[i : i + (1 << 18)]])
-            keep.append(fine * (1 + 1e-9 * np.sign(fine)) + 1e-6 >= floor[q[i : i + (1 << 18)]])
-        keep = np.concatenate(keep) if keep else np.zeros(0, bool)
-        q, x = q[keep], x[keep]
-    return q, x
+        keep = _reaches(np.einsum("ij,ij->i", a[qi], b[xi]), floor[qi])
+        qi, xi = qi[keep], xi[keep]
+    score = _exact(x[xi], q[qi])
+    keep = score >= floor[qi]
+    return qi[keep], xi[keep], score[keep]
 
 
 def _search(queries, k: int, levels: tuple[int, ...]):
@@ -107,19 +121,18 @@ def _search(queries, k: int, levels: tuple[int, ...]):
                 own = b.column(0).to_numpy()
                 x = integers(b.column(1).flatten().to_numpy(zero_copy_only=False).reshape(b.num_rows, -1))
                 # the first rows of a slice are scored outright, which lifts the floors that prune the rest
-                for lo, hi in ((0, 64), (64, len(own))):
-                    part, floor = x[lo:hi], best.floor()
+                for lo, hi in ((0, 32), (32, len(own))):
+                    part, names = x[lo:hi], own[lo:hi]
                     if not len(part):
                         continue
+                    stats = [statistics(part, s) for s in levels]
                     for c in range(0, len(ids), 1024):
-                        qi, xi = survivors([statistics(part, s) for s in levels], [a[c : c + 1024] for a in q_stats], floor[c : c + 1024])
-                        qi += c
-                        other = ids[qi] != own[lo:hi][xi]
-                        qi, xi = qi[other], xi[other]
-                        for i in range(0, len(qi), 1 << 17):
-                            s = slice(i, i + (1 << 17))
-                            score = _exact(part[xi[s]], q[qi[s]])
-                            best.offer(qi[s], own[lo:hi][xi[s]], score)
+                        s = slice(c, c + 1024)
+                        qi, xi, score = candidates(part, q[s], stats, [a[s] for a in q_stats], best.floor()[s])
+                        qi = qi + c
+                        other = ids[qi] != names[xi]
+                        if other.any():
+                            best.offer(qi[other], names[xi[other]], score[other])
         q, r = np.nonzero(np.arange(k)[None, :] < best.filled[:, None])
         yield pa.RecordBatch.from_arrays([pa.array(ids[q]), pa.array(best.ids[q, r]), pa.array(best.score[q, r])], names=["query_id", "vec_id", "score"])
 
