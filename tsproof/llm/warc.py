@@ -1,5 +1,7 @@
 """WARC archives: write, index first, read back by coalesced byte ranges.
 
+Every record is a gzip member of its own, as the format advises, so a byte range of the archive is a whole record.
+
 Writing: each task appends records to archives of bounded size in the shared folder and emits one index row per record
 (archive, offset, length, URL, digest).  The index is a table written once by Spark's committer; archive names are
 unique per attempt, so an archive left by a lost or repeated task has no index rows and is never read.
@@ -17,6 +19,7 @@ become ``urn:page:<id>``; line breaks and blanks in URLs are percent-encoded.
 from __future__ import annotations
 
 import base64
+import gzip
 import hashlib
 import uuid
 from collections.abc import Iterator
@@ -49,7 +52,7 @@ def clean_url(url: str | None, page_id: int | None) -> str:
     return "".join(c if c > " " else f"%{ord(c):02X}" for c in url)
 
 
-def record(page_id: int | None, url: str, payload: bytes, payload_digest: str, kind: str, refers_to: int | None, refers_url: str | None = None) -> bytes:
+def record(page_id: int | None, url: str, payload: bytes, payload_digest: str, kind: str, refers_to: int | None) -> bytes:
     """One WARC/1.1 record; a revisit repeats no payload but names its length and the response it refers to."""
     head = ["WARC/1.1", f"WARC-Type: {kind}", f"WARC-Record-ID: <urn:uuid:{uuid.uuid5(uuid.NAMESPACE_URL, f'page:{page_id}:{kind}')}>", f"WARC-Date: {DATE}", f"WARC-Target-URI: {url}", f"WARC-Payload-Digest: sha1:{payload_digest}", f"X-Page-Id: {'' if page_id is None else page_id}", f"X-Payload-Length: {len(payload)}"]
     body = payload
@@ -84,11 +87,11 @@ def _writer(folder: str, archive_bytes: int):
                 if out is None or at >= archive_bytes:
                     if out is not None:
                         out.close()
-                    name, at = f"archive-{uuid.uuid4().hex}.warc", 0
-                    out = files.open_output_stream(f"{root}/{name}")
+                    name, at = f"archive-{uuid.uuid4().hex}.warc.gz", 0
+                    out = files.open_output_stream(f"{root}/{name}", compression=None)
                 payload = (r["html"] or "").encode("utf-8", "replace")
                 url, sha = clean_url(r["url"], r["page_id"]), digest(payload)
-                raw = record(r["page_id"], url, payload, sha, r["record_type"], r["refers_to"])
+                raw = gzip.compress(record(r["page_id"], url, payload, sha, r["record_type"], r["refers_to"]), 4, mtime=0)
                 out.write(raw)
                 rows.append((r["page_id"], name, at, len(raw), url, sha, r["record_type"], r["refers_to"]))
                 at += len(raw)
@@ -153,7 +156,7 @@ def _reader(folder: str, full: bool):
                     raw, rows = handle.read_at(length, offset), []
                     for i in members:
                         r = group[i]
-                        fields, body = parse(raw[r["offset"] - offset : r["offset"] - offset + r["length"]])
+                        fields, body = parse(gzip.decompress(raw[r["offset"] - offset : r["offset"] - offset + r["length"]]))
                         sha, kind = fields["WARC-Payload-Digest"].removeprefix("sha1:"), fields["WARC-Type"]
                         if kind == "response" and digest(body) != sha:
                             raise ValueError(f"payload of {fields['WARC-Record-ID']} doesn't match its digest")
