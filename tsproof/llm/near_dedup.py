@@ -10,9 +10,10 @@ Links are found in two passes and each is confirmed on the full shingle sets:
 * equal sets are one class (digest of the whole set); only the smallest id of a class goes on;
 * pass 1: within each band bucket every member is compared with the smallest member.  A bucket of near copies then
   falls into one component with one comparison per member;
-* pass 2: in buckets that still hold more than one component, all pairs of members from different components whose
-  sketches agree in enough coordinates are compared.  Oversized buckets of this kind are first split by every other
-  band.  Comparing inside a component would change nothing.
+* pass 2: a bucket that still holds more than one component is one task's work (two blocks of it, if it is oversized):
+  members are compared, on full sets, with those of other components whose sizes and sketches allow the similarity,
+  most typical members first, and only links that join components come out.  Comparing inside a component would
+  change nothing.
 
 With 128 coordinates in bands of 4 a pair at similarity 0.8 misses all bands with probability 5e-8; the sketch filter of
 pass 2 (0.6) stands 5.6 standard deviations below 0.8.  No pairs inside a group are listed, nothing is capped.
@@ -36,7 +37,7 @@ from tsproof.llm.components import components
 U64 = np.uint64
 ROWS = 4000  # rows a slice holds at most, so that the row number fits above a 52-bit shingle
 AGREE = 0.6
-SPLIT = 2000  # members from which a bucket of several components is split by the other bands
+SPLIT = 4000  # members from which a bucket of several components is cut into blocks
 
 
 def shingle_sets(arr: pa.Array, size: int) -> tuple[np.ndarray, np.ndarray]:
@@ -135,22 +136,58 @@ def _sets(arr: pa.Array, size: int) -> tuple[np.ndarray, np.ndarray]:
     return np.concatenate([p[0] for p in parts]), np.concatenate(offsets)
 
 
-def _across(coords: int):
-    """Pairs of one bucket from different components whose sketches agree in enough coordinates."""
-    least = int(AGREE * coords)
-
+def _bits(items: np.ndarray, offsets: np.ndarray) -> np.ndarray:
+    """Rows of packed bits over the shingles that at least two sets hold."""
+    kinds, at, count = np.unique(items, return_inverse=True, return_counts=True)
+    place = np.cumsum(count > 1) - 1
+    width = max(64, -(-int((count > 1).sum()) // 64) * 64)
+    out = []
+    for i in range(0, len(offsets) - 1, 256):
+        end = min(i + 256, len(offsets) - 1)
+        own = at[offsets[i] : offsets[end]]
+        row = np.repeat(np.arange(end - i), np.diff(offsets[i : end + 1]))
+        some = count[own] > 1
+        plain = np.zeros((end - i, width), bool)
+        plain[row[some], place[own[some]]] = True
+        out.append(np.packbits(plain, axis=1).view(U64))
+    return np.concatenate(out)
+
+
+def join_components(ids: np.ndarray, comp: np.ndarray, sketches: np.ndarray, items: np.ndarray, offsets: np.ndarray, per_cent: int, least: int) -> list[tuple[int, int]]:
+    """Confirmed links of one bucket that join different components, one for each join.
+
+    Members that look most like the rest come first, so that a group around one text closes after one round; a member is
+    compared with those outside its component only, on full sets, if sizes and sketches allow the similarity.
+    """
+    m, size, root = len(ids), np.diff(offsets), comp.copy()
+    probe = sketches[:: max(1, m // 64)]
+    order = np.argsort(-sum((sketches == p).sum(axis=1) for p in probe), kind="stable")
+    bits, links = _bits(items, offsets), []
+    for n, i in enumerate(order[:-1].tolist()):
+        other = order[n + 1 :]
+        other = other[root[other] != root[i]]
+        if not len(other):
+            continue
+        lo, hi = np.minimum(size[other], size[i]), np.maximum(size[other], size[i])
+        other = other[100 * lo >= per_cent * hi]
+        other = other[(sketches[other] == sketches[i]).sum(axis=1) >= least]
+        for k in range(0, len(other), 1024):
+            some = other[k : k + 1024]
+            both = np.bitwise_count(bits[some] & bits[i]).sum(axis=1).astype(np.int64)
+            for j in some[100 * both >= per_cent * (size[some] + size[i] - both)].tolist():
+                if root[j] != root[i]:
+                    links.append((int(ids[i]), int(ids[j])))
+                    root[root == root[j]] = root[i]
+    return links
+
+
+def _across(size: int, per_cent: int, coords: int):
     def run(group: pa.Table) -> pa.Table:
         ids, comp = group.column("doc_id").to_numpy(), group.column("component_id").to_numpy()
         s = np.frombuffer(b"".join(group.column("sketch").to_pylist()), np.uint8).reshape(len(ids), coords)
-        out_a, out_b = [], []
-        for i in range(len(ids) - 1):
-            other = i + 1 + np.flatnonzero(comp[i + 1 :] != comp[i])
-            if len(other):
-                hit = other[(s[other] == s[i]).sum(axis=1) >= least]
-                out_a.append(np.minimum(ids[i], ids[hit]))
-                out_b.append(np.maximum(ids[i], ids[hit]))
-        empty = np.zeros(0, np.int64)
-        return pa.table({"a": np.concatenate([empty, *out_a]), "b": np.concatenate([empty, *out_b])})
+        items, offsets = _sets(group.column("text").combine_chunks(), size)
+        links = join_components(ids, comp, s, items, offsets, per_cent, int(AGREE * coords))
+        return pa.table({"a": pa.array([x[0] for x in links], pa.int64()), "b": pa.array([x[1] for x in links], pa.int64())})
 
     return run
 
@@ -184,12 +221,14 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, per_cent: int = 80, coord
     placed = bucketed.join(comp, "doc_id", "left").withColumn("component_id", F.coalesce("component_id", "doc_id"))
     mixed = placed.groupBy("key").agg(F.count("*").alias("n"), F.bit_xor(F.xxhash64("doc_id")).alias("mark"), F.min("component_id").alias("lo"), F.max("component_id").alias("hi")).where("lo < hi")
     alike = mixed.groupBy("n", "mark").agg(F.min("key").alias("key"))  # equal buckets of several bands count once
-    # a bucket of two is settled by pass 1
-    opened = placed.drop("hub", "size").join(alike.where("n > 2").select("key", "n"), "key").join(made.select("doc_id", "sketch", "bands"), "doc_id")
-    opened = opened.withColumn("sub", F.explode(F.when(F.col("n") > SPLIT, F.col("bands")).otherwise(F.array(F.lit(0).cast("long"))))).drop("bands")
-    more = opened.groupBy("key", "sub").applyInArrow(_across(coords), "a long, b long").distinct()
-    more = shared.written(more.join(first.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")), ["a", "b"], "left_anti"))
-    extra = shared.written(confirmed(more))
+    # a bucket of two is settled by pass 1; an oversized one is cut into blocks, and each pair of blocks is a group
+    opened = placed.drop("hub", "size").join(alike.where("n > 2").select("key", "n"), "key")
+    cuts = F.ceil(F.col("n") / SPLIT)
+    own = F.pmod(F.xxhash64("doc_id", F.lit(1)), cuts)
+    pair = F.transform(F.sequence(F.lit(0), cuts - 1), lambda x: F.least(x, own) * cuts + F.greatest(x, own))
+    opened = opened.withColumn("sub", F.explode(pair)).select("key", "sub", "doc_id", "component_id")
+    opened = opened.join(made.select("doc_id", "sketch"), "doc_id").join(texts, "doc_id")
+    extra = shared.written(opened.groupBy("key", "sub").applyInArrow(_across(shingle, per_cent, coords), "a long, b long").distinct())
     if not extra.isEmpty():
         comp = components(links.union(extra))
 
