@@ -133,8 +133,8 @@ def _pass(sent, seed: int, shortest: int, threshold: float, again: bool):
 
 def find_leaks(docs: DataFrame, benchmark: DataFrame, seed: int = 5, threshold: float = 0.5, shortest: int = 5, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """All columns of ``docs`` and, for the item with the largest coverage: _leak_item, _leak_coverage (null if no seed is
-    shared), _leak_tiles, _leak_words."""
-    spark = docs.sparkSession
+    shared), _leak_tiles, _leak_words.  Columns of these names are replaced."""
+    spark, docs = docs.sparkSession, docs.drop("_leak_item", "_leak_coverage", "_leak_tiles", "_leak_words")
     base = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema) + ", " + FOUND
     blocks, block, size = [], [], 0
     for r in benchmark.where("item_id is not null and text is not null").select(F.col("item_id").cast("long"), "text").orderBy("item_id", "text").toLocalIterator():

@@ -93,12 +93,12 @@ def fit(samples: dict[str, list[bytes]], max_nodes: int = 12_000) -> Model:
     order = np.argsort(-np.bincount(inverse, weights, minlength=len(context)), kind="stable")[:max_nodes]
     deep = np.sort(context[order])
     pairs = np.flatnonzero(sum((counted[x][2].reshape(a * a, a).sum(1) for x in langs), np.zeros(a * a, np.int64)))
-    # nodes: 0 the empty context, then pairs of symbols, then triples
-    by_pair = np.zeros(a * a, np.int32)
-    by_pair[pairs] = 1 + np.arange(len(pairs))
+    # nodes: single symbols, then pairs, then triples; a context without a node has that of its longest suffix
+    by_pair = np.tile(np.arange(a, dtype=np.int32), a)
+    by_pair[pairs] = a + np.arange(len(pairs))
     node = np.tile(by_pair, a)
-    node[deep] = 1 + len(pairs) + np.arange(len(deep))
-    bits = np.zeros((1 + len(pairs) + len(deep), a, len(langs)), np.float32)
+    node[deep] = a + len(pairs) + np.arange(len(deep))
+    bits = np.zeros((a + len(pairs) + len(deep), a, len(langs)), np.float32)
 
     def level(counts: np.ndarray, shorter: np.ndarray) -> np.ndarray:
         n, u = counts.sum(-1, keepdims=True), (counts > 0).sum(-1, keepdims=True)
@@ -111,15 +111,13 @@ def fit(samples: dict[str, list[bytes]], max_nodes: int = 12_000) -> Model:
         zero = level(c[0][None, :], np.full((1, a), 8.0))
         one = level(c[1].reshape(a, a), np.broadcast_to(zero, (a, a)))
         two = level(c[2].reshape(a * a, a)[pairs], one[pairs % a])
-        bits[0, :, i], bits[1 : 1 + len(pairs), :, i] = zero[0], two
+        bits[:a, :, i], bits[a : a + len(pairs), :, i] = one, two
         full = np.zeros((len(deep), a), np.int64)
         at = np.searchsorted(deep, c[3][0] // a)
         hit = (at < len(deep)) & (deep[np.minimum(at, max(len(deep) - 1, 0))] == c[3][0] // a) if len(deep) else np.zeros(len(at), bool)
         full[at[hit], c[3][0][hit] % a] = c[3][1][hit]
-        parent = by_pair[deep % (a * a)] - 1
-        bits[1 + len(pairs) :, :, i] = level(full, two[parent]) if len(deep) else 0
-    # pairs that only other languages' samples end on fall back through ``level`` with n = 0
-    return Model(langs, symbol, node, bits.reshape(-1, len(langs)))
+        bits[a + len(pairs) :, :, i] = level(full, two[by_pair[deep % (a * a)] - a]) if len(deep) else 0
+    return Model(langs, symbol, node, bits.reshape(len(bits) * a, len(langs)))
 
 
 def train(docs: DataFrame, held_out=None, per_lang: int = 500, longest: int = 20_000, max_nodes: int = 12_000) -> Model:

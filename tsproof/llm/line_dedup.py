@@ -12,7 +12,8 @@ All pairs are judged on the input, so the result doesn't depend on the order of
 
 Defined cases: null texts stay null, and are no one's partner; a text whose lines all go becomes empty; rows with a null
 doc_id are kept unchanged; of rows that share a doc_id the smallest text is aligned, and its deletions
-apply to the rows of that id with the same text; other columns pass through.
+apply to the rows of that id with the same text; other columns pass
+through, but for ones named as the two counts that the result adds.
 """
 
 from __future__ import annotations
@@ -156,6 +157,7 @@ def _align(block: int, chars: int):
 
 def line_dedup(docs: DataFrame, block: int = 2, chars: int = 60) -> DataFrame:
     """All columns of ``docs`` with the shortened ``text``, and _lines (in the input) and _lines_removed."""
+    docs = docs.drop("_lines", "_lines_removed")
     own = shared.one_row_per_id(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").where("text is not null"), "doc_id", "text")
     seeds = own.mapInArrow(_seeds(block), "doc_id long, seed long")
     seeds_of = seeds.groupBy("seed").agg(F.min("doc_id").alias("a"), F.count("*").alias("n")).where("n > 1").select("seed", "a")
@@ -165,8 +167,8 @@ def line_dedup(docs: DataFrame, block: int = 2, chars: int = 60) -> DataFrame:
     cut = both.select("a", "b", "text_a", "text_b", F.xxhash64("text_b").alias("mark")).mapInArrow(_align(block, chars), "doc_id long, mark long, gone array<int>")
     gone = cut.groupBy(F.col("doc_id").alias("_id"), F.col("mark").alias("_mark")).agg(F.array_distinct(F.flatten(F.collect_list("gone"))).alias("_gone"))
     out = docs.join(gone.hint("merge"), (docs["doc_id"].cast("long") == gone["_id"]) & (F.xxhash64(docs["text"]) == gone["_mark"]), "left")
-    lines = F.split("text", "\n", -1)
-    kept = F.array_join(F.filter(F.transform(lines, lambda x, i: F.when(~F.array_contains("_gone", i), x)), lambda x: x.isNotNull()), "\n")
-    text = F.when(F.col("_gone").isNull(), F.col("text")).otherwise(kept)
-    counts = [F.greatest(F.coalesce(F.size(c), F.lit(0)), F.lit(0)).cast("long") for c in (lines, F.col("_gone"))]
+    lines, cuts = F.split(docs["text"], "\n", -1), gone["_gone"]
+    kept = F.array_join(F.filter(F.transform(lines, lambda x, i: F.when(~F.array_contains(cuts, i), x)), lambda x: x.isNotNull()), "\n")
+    text = F.when(cuts.isNull(), docs["text"]).otherwise(kept)
+    counts = [F.greatest(F.coalesce(F.size(c), F.lit(0)), F.lit(0)).cast("long") for c in (lines, cuts)]
     return out.select(*[text.alias(c) if c == "text" else docs[c] for c in docs.columns], counts[0].alias("_lines"), counts[1].alias("_lines_removed"))

@@ -82,14 +82,14 @@ def _reaches(bound: np.ndarray, floor: np.ndarray) -> np.ndarray:
     return bound + 1e-9 * np.abs(bound) + 1e-6 >= floor
 
 
-def candidates(x: np.ndarray, q: np.ndarray, x_stats: list[np.ndarray], q_stats: list[np.ndarray], floor: np.ndarray, dense: float = 0.02) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(query, row, score) of the pairs whose bounds and scores reach the query's floor.
+def candidates(x: np.ndarray, q: np.ndarray, x_stats: list[np.ndarray], q_stats: list[np.ndarray], floor: np.ndarray, allowed: np.ndarray, dense: float = 0.02) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(query, row, score) of the allowed pairs whose bounds and scores reach the query's floor.
 
     Rows and queries without a pair left drop out after the coarse level.  Where more than ``dense`` of the pairs are
     left, one matrix product scores the remaining block (exact, as all sums stay below 2**53); else each finer level
     thins the pairs before they are scored one by one.
     """
-    mask = _reaches(q_stats[0] @ x_stats[0].T, floor[:, None])
+    mask = allowed & _reaches(q_stats[0] @ x_stats[0].T, floor[:, None])
     rows, cols = np.flatnonzero(mask.any(axis=1)), np.flatnonzero(mask.any(axis=0))
     small = float(np.abs(x).max(initial=0)) * float(np.abs(q).max(initial=0)) * x.shape[1] < 2**53
     if small and mask.sum() > dense * mask.size:
@@ -128,11 +128,10 @@ def _search(queries, k: int, levels: tuple[int, ...]):
                     stats = [statistics(part, s) for s in levels]
                     for c in range(0, len(ids), 1024):
                         s = slice(c, c + 1024)
-                        qi, xi, score = candidates(part, q[s], stats, [a[s] for a in q_stats], best.floor()[s])
-                        qi = qi + c
-                        other = ids[qi] != names[xi]
-                        if other.any():
-                            best.offer(qi[other], names[xi[other]], score[other])
+                        other = ids[s][:, None] != names[None, :]
+                        qi, xi, score = candidates(part, q[s], stats, [a[s] for a in q_stats], best.floor()[s], other)
+                        if len(qi):
+                            best.offer(qi + c, names[xi], score)
         q, r = np.nonzero(np.arange(k)[None, :] < best.filled[:, None])
         yield pa.RecordBatch.from_arrays([pa.array(ids[q]), pa.array(best.ids[q, r]), pa.array(best.score[q, r])], names=["query_id", "vec_id", "score"])
 

@@ -114,12 +114,14 @@ def fit(texts: list[str], labels: np.ndarray, share: float, identities=IDENTITIE
         pair = np.unique((row[row >= 0].astype(np.int64) << 22) | _fast(keys[row >= 0]).astype(np.int64))
         y = labels[at + (pair >> 22)].astype(int)
         np.add.at(counts, (y, pair & (_BINS - 1)), 1)
-    p1, p0, p = counts[1] / pos, counts[0] / neg, counts.sum(0) / len(labels)
-    z = (p1 - p0) / np.sqrt(np.maximum(p * (1 - p), 1e-9) * (1 / pos + 1 / neg))
-    z[(counts.sum(0) < 4) | (z < 3)] = 0
-    best = np.argsort(-z)[:features]
+    some = np.flatnonzero(counts.sum(0) >= 4)  # keeps the driver's arrays small
+    c1, c0 = counts[1, some].astype(np.float64), counts[0, some].astype(np.float64)
+    del counts
+    p = (c1 + c0) / len(labels)
+    z = (c1 / pos - c0 / neg) / np.sqrt(np.maximum(p * (1 - p), 1e-9) * (1 / pos + 1 / neg))
+    best = np.argsort(-z, kind="stable")[:features]
     chosen = np.zeros(_BINS, bool)
-    chosen[best[z[best] > 0]] = True
+    chosen[some[best[z[best] >= 3]]] = True
     named = {w for pair in identities for w in pair}
     terms = textkit.Words(pa.array(sorted(named)), lower=True).hashes() | _WORD_TAG
     chosen[_fast(terms)] = True  # so that the penalty can act on the terms themselves
@@ -183,7 +185,8 @@ def _scorer(model):
 
 
 def score(docs: DataFrame, model: Model) -> DataFrame:
-    """All columns of ``docs`` and ``_score``."""
+    """All columns of ``docs`` and ``_score`` (which replaces a column of that name)."""
+    docs = docs.drop("_score")
     sent = docs.sparkSession.sparkContext.broadcast((model.keys, model.weights, model.bias, model.length))
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema) + ", _score double"
     return docs.mapInArrow(_scorer(sent), schema)
