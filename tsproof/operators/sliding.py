@@ -49,7 +49,7 @@ def verify_sequence(vo: DataFrame, windows: DataFrame, anchors: DataFrame, cache
     content = lambda c: F.when(F.col("fresh"), F.col(c)).alias(c)
     part = F.struct("role", "lvl", "idx", "fresh", F.col("rec").isNotNull().alias("opened"), content("eta"), content("alpha"), content("rec"))
     slides = rows.groupBy("seq_id", "i", "qid").agg(F.collect_list(part).alias("parts")).join(windows.select("qid", "sid", "t_s", "t_e"), "qid")
-    seqs = slides.groupBy("seq_id", "sid").agg(F.array_sort(F.collect_list(F.struct("i", "qid", "t_s", "t_e", "parts"))).alias("slides"))
+    seqs = slides.groupBy("seq_id", "sid").agg(F.collect_list(F.struct("i", "qid", "t_s", "t_e", "parts")).alias("slides"))
     seqs = seqs.join(anchors.select("sid", F.struct(*anchors.columns).alias("anchor")), "sid")
 
     def run(batches):
@@ -57,7 +57,7 @@ def verify_sequence(vo: DataFrame, windows: DataFrame, anchors: DataFrame, cache
             out = []
             for r in b.to_pylist():
                 c = SlidingClient(r["anchor"], cache)
-                for s in r["slides"]:
+                for s in sorted(r["slides"], key=lambda x: x["i"]):
                     v = c.slide({"sid": r["sid"], "t_s": s["t_s"], "t_e": s["t_e"]}, s["parts"])
                     out.append({"seq_id": r["seq_id"], "i": s["i"], "accepted": v.accepted, "s": v.s, "n": v.n})
             yield pa.RecordBatch.from_pylist(out, schema=pa.schema([("seq_id", pa.int64()), ("i", pa.int64()), ("accepted", pa.bool_()), ("s", pa.int64()), ("n", pa.int64())]))
