@@ -124,8 +124,12 @@ def train(docs: DataFrame, held_out=None, per_lang: int = 500, longest: int = 20
     rows = docs.where("doc_id is not null and text is not null and lang is not null").where(F.length("text").between(1, longest))
     if held_out is not None:
         rows = rows.where(~held_out)
-    order = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
-    ids = rows.select("doc_id", "lang").withColumn("_r", F.row_number().over(order)).where(F.col("_r") <= per_lang).select("doc_id", "lang").distinct()
+    # only ids whose hash lies in a share that yields about 4 * per_lang of a language are ranked, at any size of the corpus
+    spread = F.pmod(F.xxhash64("doc_id"), F.lit(1 << 40))
+    share = rows.groupBy("lang").agg((F.lit(float(1 << 40)) * (4 * per_lang + 100) / F.count("*")).alias("_below"))
+    near = rows.select("doc_id", "lang", spread.alias("_h")).join(F.broadcast(share), "lang").where("_h < _below")
+    order = Window.partitionBy("lang").orderBy("_h", "doc_id")
+    ids = near.withColumn("_r", F.row_number().over(order)).where(F.col("_r") <= per_lang).select("doc_id", "lang").distinct()
     picked = rows.select("doc_id", "lang", "text").join(F.broadcast(ids), ["doc_id", "lang"])
     samples: dict[str, list[bytes]] = {}
     for lang, text in picked.select("lang", "text").toPandas().sort_values(["lang", "text"]).itertuples(index=False):
