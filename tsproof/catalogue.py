@@ -383,6 +383,20 @@ def undecided_runs(spark: SparkSession, d: str) -> DataFrame:
     return k.join(approx.edge_set(p.segments, q), "qid").join(approx.edge_set(p.segments, q, "tau").select("qid", F.col("edge").alias("edge_tau")), "qid")
 
 
+@query("seg_external_encoder", f"select count(*) as records, 0::bigint as violations from ({_BLOCK})")
+def seg_external_encoder(spark: SparkSession, d: str) -> DataFrame:
+    """Segments of an encoder known by its table only, certified before use."""
+    p = ex.prepare(spark, d, "rate_block")
+    other = segments.from_table(written(segments.greedy(p.records, p.budgets, "cone").withColumn("maker", F.lit("outside"))))
+    return segments.replay(other, p.records).agg(F.count_if(~F.col("valid")).alias("violations")).crossJoin(other.agg(F.sum("c").alias("records"))).select("records", "violations")
+
+
+@query("value_share")
+def value_share(spark: SparkSession, d: str) -> DataFrame:
+    p = ex.prepare(spark, d, "rate_block")
+    return costs.value_share(ex.intervals(p, _windows(p)).withColumn("stream", F.lit("rate_block")))
+
+
 # ---- policies -------------------------------------------------------------------------------------------------------
 @query("region_touches", f"with {_windows_sql(_BLOCK)}, z as (select sid, least(lo // (n // 16), 15) as a, least(hi // (n // 16), 15) as b from w), y as (select sid, a, b, unnest(range(a, b + 1)) as region from z) select sid, region, count(*) as f_touch, sum((region = a)::int + (region = b)::int)::bigint as f_edge from y group by sid, region")
 def region_touches(spark: SparkSession, d: str) -> DataFrame:
@@ -412,6 +426,15 @@ def policy_mean_is_uniform(spark: SparkSession, d: str) -> DataFrame:
     return policy_allocations(spark, d).crossJoin(F.broadcast(base)).groupBy("policy").agg(F.round(F.avg(F.col("eps_v") / F.col("base")), 6).alias("mean_factor"))
 
 
+_SPANS = [3_600_000_000, 86_400_000_000]
+
+
+@query("windows_by_time", f"with r as ({_event_sql()}), e as (select sid, min(t) as a, max(t) as b from r group by sid), g as (select q, {_SPANS}[(q // 5) + 1]::bigint as k from range(10) x(q)), w as (select q + 1000000 as qid, sid, a + ({workload.draw_sql('q', 1)} * ((b - a) // 2147483647 + 1)) % greatest(b - a, 1) as t_s, k from e, g) select qid, coalesce(sum(v), 0)::bigint as s, count(v) as n from w left join r on r.sid = w.sid and r.t between t_s and t_s + k - 1 group by qid")
+def windows_by_time(spark: SparkSession, d: str) -> DataFrame:
+    p = ex.prepare(spark, d, "event_amt")
+    return exact.aggregate(_located(p, written(workload.by_time(p.records, _SPANS, 5))), p.nodes).select("qid", "s", "n")
+
+
 # ---- baselines and costs --------------------------------------------------------------------------------------------
 _SCAN = "coalesce(sum(v), 0)::bigint as s, count(v) as n, min(v) as mn, max(v) as mx"
 
@@ -477,7 +500,7 @@ def tamper_matrix(spark: SparkSession, d: str) -> DataFrame:
     return ex.tamper(spark, d, ("rate_block", "event_amt")).groupBy("kind").agg(F.sum("attempts").alias("attempts"), F.sum("rejected").alias("rejected"), F.sum("as_expected").alias("as_expected"))
 
 
-for _name, _make in (("experiment_stream_table", ex.stream_table), ("experiment_touched", ex.touched), ("experiment_proof_size", ex.proof_size), ("experiment_break_even", ex.break_even), ("experiment_widths", ex.widths), ("experiment_value_blindness", ex.value_blindness), ("experiment_scale", ex.scale), ("experiment_budget_sweep", ex.budget_sweep), ("experiment_halve", lambda s, d: ex.halve(s, d, ("rate_block", "const_unit"))), ("experiment_boundary", lambda s, d: ex.boundary(s, d, ("rate_block",), (0.5, 2.0))), ("experiment_encoders", lambda s, d: ex.encoder_study(s, d, skews=(0.9,), rounds=4)), ("experiment_latency", ex.latency), ("experiment_client_time", ex.client_time), ("experiment_construction", lambda s, d: ex.construction(s, d, ("rate_block", "event_amt")))):
+for _name, _make in (("experiment_stream_table", ex.stream_table), ("experiment_touched", ex.touched), ("experiment_proof_size", ex.proof_size), ("experiment_break_even", ex.break_even), ("experiment_widths", ex.widths), ("experiment_value_blindness", ex.value_blindness), ("experiment_scale", ex.scale), ("experiment_budget_sweep", ex.budget_sweep), ("experiment_halve", lambda s, d: ex.halve(s, d, ("rate_block", "const_unit"))), ("experiment_boundary", lambda s, d: ex.boundary(s, d, ("rate_block",), (0.5, 2.0))), ("experiment_encoders", lambda s, d: ex.encoder_study(s, d, ("rate_block",), (0.9,), 4)), ("experiment_range_size", lambda s, d: ex.range_size(s, d, ("rate_block", "event_amt"), 10)), ("experiment_agg_bytes", lambda s, d: ex.agg_vo(s, d, ("rate_block", "event_amt"), 10)), ("experiment_repeats", ex.repeats), ("experiment_percentile_budget", lambda s, d: ex.percentile_contrast(s, d, ("rate_block", "event_amt"))), ("experiment_tamper", lambda s, d: ex.tamper(s, d, ("rate_block",))), ("experiment_latency", ex.latency), ("experiment_client_time", ex.client_time), ("experiment_construction", lambda s, d: ex.construction(s, d, ("rate_block", "event_amt")))):
     query(_name)(_make)
 
 
@@ -520,6 +543,18 @@ for _kind in ("tumbling", "sliding", "session"):
     query(f"window_{_kind}", _sql)(lambda spark, d, k=_kind: streaming.window_agg(read_table(spark, d, "events", ["ts", "value"]).select(F.col("ts").cast("timestamp").alias("ts"), streams.cents("value").alias("v")), "ts", "v", k, "30 minutes" if k == "session" else "1 day", "12 hours"))
 
 
+@query("stream_enrich", "select event_id, p_brand, round(value * 100)::bigint as v from events left join part on p_partkey = user_id")
+def stream_enrich(spark: SparkSession, d: str) -> DataFrame:
+    """A stream joined with a static table, written in micro-batches."""
+    source, target = scratch(spark), scratch(spark)
+    e = read_table(spark, d, "events", ["event_id", "user_id", "value"]).select("event_id", F.col("user_id").alias("p_partkey"), streams.cents("value").alias("v"))
+    e.write.parquet(source)
+    out = streaming.enrich(spark.readStream.schema(e.schema).parquet(source), read_table(spark, d, "part", ["p_partkey", "p_brand"]), "p_partkey").select("event_id", "p_brand", "v")
+    run = out.writeStream.format("parquet").option("path", target).option("checkpointLocation", f"{target}-state").trigger(availableNow=True).start()
+    run.awaitTermination()
+    return spark.read.schema(out.schema).parquet(target)
+
+
 @query("dedup_events", "select count(*) as n from events")
 def dedup_events(spark: SparkSession, d: str) -> DataFrame:
     e = read_table(spark, d, "events", ["event_id"])

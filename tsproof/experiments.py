@@ -212,6 +212,51 @@ def break_even(spark: SparkSession, d: str, names: tuple[str, ...] = streams.MAI
     return _all(out)
 
 
+def _by_length(spark: SparkSession, d: str, names: tuple[str, ...], count: int, exact_vo, approx_vo) -> DataFrame:
+    """Mean bytes of an exact and an approximate proof, and their ratio, per stream and window length."""
+    out = []
+    for name in names:
+        p = prepare(spark, d, name)
+        q = queries_of(p, count)
+        located, near = written(exact.locate(q, p.records, p.anchors)), written(approx.locate(q, p.segments))
+        both = costs.vo_bytes(exact_vo(p, located)).select("qid", F.col("bytes").alias("exact")).join(costs.vo_bytes(approx_vo(p, near)).select("qid", F.col("bytes").alias("approx")), "qid")
+        mean = both.join(q.select("qid", "k"), "qid").groupBy("k").agg(F.avg("exact").alias("exact_bytes"), F.avg("approx").alias("approx_bytes"))
+        out.append(mean.select(F.lit(name).alias("stream"), "k", "exact_bytes", "approx_bytes", (F.col("exact_bytes") / F.col("approx_bytes")).alias("saving")))
+    return _all(out)
+
+
+def range_size(spark: SparkSession, d: str, names: tuple[str, ...] = streams.MAIN, count: int = 20) -> DataFrame:
+    """Bytes of range retrieval, exact and over segments, by window length."""
+    return _by_length(spark, d, names, count, lambda p, x: exact.prove_range(x, p.nodes, p.records), lambda p, x: approx.prove_range(x, p.seg_nodes, p.segments))
+
+
+def agg_vo(spark: SparkSession, d: str, names: tuple[str, ...] = streams.MAIN, count: int = 20) -> DataFrame:
+    """Bytes of aggregation proofs, exact and over segments, by window length: only a few levels apart."""
+    return _by_length(spark, d, names, count, lambda p, x: exact.prove_aggregate(x, p.nodes, p.records), lambda p, x: approx.prove_aggregate(x, p.seg_nodes, p.segments))
+
+
+def repeats(spark: SparkSession, d: str, name: str = "rate_block", seeds: tuple[int, ...] = (1, 2, 3, 4, 5), count: int = 20) -> DataFrame:
+    """The repetition protocol: nodes and bytes per window length, mean over seeds and deviation between their means."""
+    p = prepare(spark, d, name)
+    # one batch for all seeds: window ids of different seeds don't meet
+    q = written(_all([workload.windows(p.records, lengths(p.n), count, s).withColumn("seed", F.lit(s)) for s in seeds]))
+    vo = written(exact.prove_aggregate(exact.locate(q, p.records, p.anchors), p.nodes, p.records))
+    one = costs.vo_bytes(vo).join(costs.touched(vo), "qid").join(q.select("qid", "k", "seed"), "qid").groupBy("k", "seed").agg(F.avg("touched").alias("nodes"), F.avg("bytes").alias("bytes"), F.count("*").alias("windows"))
+    return one.groupBy("k").agg(F.avg("nodes").alias("nodes"), F.stddev_pop("nodes").alias("nodes_dev"), F.avg("bytes").alias("bytes"), F.stddev_pop("bytes").alias("bytes_dev"), F.sum("windows").alias("windows"), F.count("*").alias("seeds")).withColumn("stream", F.lit(name))
+
+
+def percentile_contrast(spark: SparkSession, d: str, names: tuple[str, ...] = streams.MAIN) -> DataFrame:
+    """Budgets from the median against budgets from a high percentile: records per segment and SUM width."""
+    out = []
+    for name in names:
+        p = prepare(spark, d, name)
+        q = queries_of(p, 10, only=[lengths(p.n)[1]])
+        for rule, x in (("median", p), ("p99", with_segments(p.records, p.nodes, p.stats, written(budget.percentile_budget(p.stats))))):
+            got = intervals(x, q).where("f = 'SUM'").agg(F.avg(F.col("hi") - F.col("lo")).alias("sum_width"), F.bool_and("inside").alias("inside"))
+            out.append(got.withColumns({"stream": F.lit(name), "rule": F.lit(rule), "per_segment": F.lit(p.n / max(x.segments.count(), 1))}))
+    return _all(out)
+
+
 def boundary(spark: SparkSession, d: str, names: tuple[str, ...] = streams.MAIN, units: tuple[float, ...] = (0.25, 0.5, 1.0, 2.0, 4.0), count: int = 40) -> DataFrame:
     """Undecided records per window over a sweep of the arrival budget."""
     out = []
@@ -245,8 +290,17 @@ def policies(p: Prepared, skew: float, k: int, count: int = 200) -> dict[str, tu
     return {"uniform": (budget.uniform(base), test), "learned": (fill(-2 / 3), test), "adversarial": (fill(2 / 3), test), "edge_aware": (budget.edge_aware(base, freq), test)}
 
 
-def encoder_study(spark: SparkSession, d: str, name: str = "rate_block", skews: tuple[float, ...] = (0.0, 0.5, 0.9), rounds: int = 6) -> DataFrame:
+SKEWS = (0.0, 0.25, 0.5, 0.75, 0.9, 0.95)
+
+
+def encoder_study(spark: SparkSession, d: str, names: tuple[str, ...] = streams.MAIN, skews: tuple[float, ...] = SKEWS, rounds: int = 6) -> DataFrame:
     """Width of SUM intervals by policy and skew, relative to uniform, at matched segment counts; containment of all."""
+    rows = written(_all([_encoders(spark, d, name, skews, rounds) for name in names]))
+    base = rows.where("policy = 'uniform'").select("stream", "skew", F.col("sum_width").alias("_u"))
+    return rows.join(base, ["stream", "skew"]).withColumn("vs_uniform", F.try_divide("sum_width", "_u")).drop("_u")
+
+
+def _encoders(spark: SparkSession, d: str, name: str, skews: tuple[float, ...], rounds: int) -> DataFrame:
     p = prepare(spark, d, name)
     k = max(10, p.n // 50)
     out = []
