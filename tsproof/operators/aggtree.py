@@ -120,18 +120,25 @@ def anchor(raw_nodes: DataFrame, seg_nodes: DataFrame | None = None, segments: D
     return out.withColumn("digest", encoding.anchor_digest())
 
 
-def append(nodes: DataFrame, leaves: DataFrame, fanout: int = 2) -> DataFrame:
-    """Nodes after appending leaves whose idx continues each stream.
+def spine(nodes: DataFrame, sizes: DataFrame, fanout: int = 2) -> DataFrame:
+    """Full blocks on the right edge of streams of the given sizes (sid, n): at most f - 1 nodes a level, and all that an
+    append has to read of the old tree."""
+    w = F.pow(F.lit(fanout), F.col("lvl")).cast("long")
+    edge = nodes.select(*COLUMNS).join(sizes.select("sid", F.col("n").alias("_n")), "sid").withColumn("_w", w)
+    sealed = (F.col("idx") + 1) * F.col("_w") <= F.col("_n")
+    wanted = F.expr(f"idx div {fanout}") == F.floor(F.col("_n") / (F.col("_w") * fanout))
+    return edge.where(sealed & wanted).select(*COLUMNS)
+
 
-    Full blocks of the old tree are sealed: the frontier (at most f - 1 nodes a level) stands in for them, level by level,
-    and only nodes on the right edge are made anew: O(m + log n) rows of work for m new leaves.
+def grow(nodes: DataFrame, leaves: DataFrame, fanout: int = 2) -> DataFrame:
+    """The nodes that appended leaves make or change; ``nodes`` holds the spine at least.
+
+    Full blocks of the old tree are sealed: the spine stands in for them, level by level, and only nodes on the right
+    edge are made anew: O(m + log n) rows of work for m new leaves.
     """
-    first = leaves.groupBy("sid").agg(F.min("idx").alias("_old"), F.count("*").alias("_new"))
-    edge = nodes.join(first, "sid").withColumns({"_w": F.pow(F.lit(fanout), F.col("lvl")).cast("long")})
-    sealed = (F.col("idx") + 1) * F.col("_w") <= F.col("_old")
-    wanted = F.expr(f"idx div {fanout}") == F.floor(F.col("_old") / (F.col("_w") * fanout))
-    front = written(edge.where(sealed & wanted).select(*COLUMNS))
-    top = written(first.select("sid", cover.depth_column(F.col("_old") + F.col("_new"), fanout).alias("_depth")))
+    first = leaves.groupBy("sid").agg(F.min("idx").alias("n"), F.count("*").alias("_new"))
+    front = written(spine(nodes, first, fanout))
+    top = written(first.select("sid", cover.depth_column(F.col("n") + F.col("_new"), fanout).alias("_depth")))
     deepest = top.agg(F.max("_depth")).first()[0] or 0
     level = written(leaves.select("sid", F.lit(0).alias("lvl"), "idx", *encoding.ALPHA, "eta"))
     parts = [level]
@@ -141,5 +148,10 @@ def append(nodes: DataFrame, leaves: DataFrame, fanout: int = 2) -> DataFrame:
         up = kids.select("sid", F.lit(k + 1).alias("lvl"), F.col("up").alias("idx"), combine([F.try_element_at("kids", F.lit(j + 1))["nd"] for j in range(fanout)]).alias("nd"))
         level = written(up.join(top, "sid").where("lvl <= _depth").select("sid", "lvl", "idx", "nd.*"))
         parts.append(level)
-    made = reduce(lambda x, y: x.unionByName(y), parts).select(*COLUMNS)
+    return reduce(lambda x, y: x.unionByName(y), parts).select(*COLUMNS)
+
+
+def append(nodes: DataFrame, leaves: DataFrame, fanout: int = 2) -> DataFrame:
+    """All nodes after appending leaves whose idx continues each stream."""
+    made = grow(nodes, leaves, fanout)
     return nodes.select(*COLUMNS).join(made, ["sid", "lvl", "idx"], "left_anti").select(*COLUMNS).unionByName(made)

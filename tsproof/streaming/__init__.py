@@ -18,50 +18,51 @@ def read_blocks(spark: SparkSession, path: str, files_per_batch: int = 1) -> Dat
     return spark.readStream.schema(RECORD).option("maxFilesPerTrigger", files_per_batch).parquet(path)
 
 
+FRONT = "sid string, n long, t long, height long, i int"
+NODES = "sid string, lvl int, idx long, s decimal(38,0), n long, mn long, mx long, t_lo long, t_hi long, w decimal(38,0), eta string"
+
+
 class TreeSink:
     """``foreachBatch`` target: orders a batch behind what is stored, sends late rows to quarantine, appends to the tree.
 
-    Every batch writes partitions named by its id, so a batch that runs again overwrites its own output only.
+    Every batch writes partitions named by its id, so a batch that runs again overwrites its own output only.  A batch reads
+    the frontier (last position of each stream) and the spine (full blocks on the right edge), not the stored tree.
     """
 
     def __init__(self, path: str, fanout: int = 2):
         self.path, self.fanout = path, fanout
 
     def _before(self, spark: SparkSession, table: str, batch: int, schema: str) -> DataFrame:
-        parts = [f"{self.path}/{table}/batch_id={b}" for b in range(batch)]
-        return spark.read.schema(schema).parquet(*parts) if parts else spark.createDataFrame([], schema)
+        """Rows of earlier batches with their batch_id: one scan, pruned by partition."""
+        schema += ", batch_id long"
+        if batch == 0:
+            return spark.createDataFrame([], schema)
+        return spark.read.schema(schema).parquet(f"{self.path}/{table}").where(F.col("batch_id") < batch)
 
     def __call__(self, df: DataFrame, batch: int) -> None:
         spark = df.sparkSession
-        frontier = "sid string, n long, t long, height long, i int"
-        seen = self._before(spark, "frontier", batch, frontier).groupBy("sid").agg(F.max(F.struct("n", "t", "height", "i")).alias("f")).select("sid", "f.*")
+        seen = self._before(spark, "frontier", batch, FRONT).groupBy("sid").agg(F.max(F.struct("n", "t", "height", "i", "batch_id")).alias("f")).select("sid", "f.*")
         joined = df.select("sid", "t", "height", "i", "v", "tags").join(seen.select("sid", "n", F.struct("t", "height", "i").alias("f")), "sid", "left")
         fresh = F.col("f").isNull() | (F.struct("t", "height", "i") > F.col("f"))
         write = lambda out, table: out.write.mode("overwrite").parquet(f"{self.path}/{table}/batch_id={batch}")
+        stored = lambda table: spark.read.parquet(f"{self.path}/{table}/batch_id={batch}")
         write(joined.where(~fresh).drop("f", "n"), "quarantine")
         order = Window.partitionBy("sid").orderBy("t", "height", "i")
         rows = joined.where(fresh).withColumn("pos", F.row_number().over(order) - 1 + F.coalesce("n", F.lit(0))).drop("f", "n")
         write(rows.select("sid", "t", "height", "i", "v", "tags", F.col("pos").cast("long").alias("pos")), "records")
-        rows = spark.read.parquet(f"{self.path}/records/batch_id={batch}")
+        rows = stored("records")
         last = rows.groupBy("sid").agg(F.max(F.struct((F.col("pos") + 1).alias("n"), "t", "height", "i")).alias("f")).select("sid", "f.*")
         write(last, "frontier")
-        nodes = self.nodes(spark, batch)
-        leaves = aggtree.record_leaves(rows)
-        grown = aggtree.append(nodes, leaves, self.fanout)
-        fresh_nodes = grown.join(leaves.select("sid").distinct(), "sid", "left_semi")
-        new = fresh_nodes.join(nodes.select("sid", "lvl", "idx", F.col("eta").alias("_old")), ["sid", "lvl", "idx"], "left").where("_old is null or _old != eta").drop("_old")
-        write(new, "nodes")
+        last = stored("frontier")
+        # a stream's spine is the one written by the last batch that held rows of it
+        spine = self._before(spark, "spine", batch, NODES).join(seen.select("sid", "batch_id"), ["sid", "batch_id"], "left_semi").drop("batch_id")
+        write(aggtree.grow(spine, aggtree.record_leaves(rows), self.fanout), "nodes")
+        write(aggtree.spine(spine.unionByName(stored("nodes")), last, self.fanout), "spine")
 
     def nodes(self, spark: SparkSession, batch: int) -> DataFrame:
         """Current nodes after the batches below ``batch``: the latest version of each."""
-        schema = "sid string, lvl int, idx long, s decimal(38,0), n long, mn long, mx long, t_lo long, t_hi long, w decimal(38,0), eta string"
-        if batch == 0:
-            return spark.createDataFrame([], schema)
-        rows = [spark.read.schema(schema).parquet(f"{self.path}/nodes/batch_id={b}").withColumn("_b", F.lit(b)) for b in range(batch)]
-        out = rows[0]
-        for r in rows[1:]:
-            out = out.unionByName(r)
-        latest = out.groupBy("sid", "lvl", "idx").agg(F.max_by(F.struct(*encoding.ALPHA, "eta"), "_b").alias("x"))
+        rows = self._before(spark, "nodes", batch, NODES)
+        latest = rows.groupBy("sid", "lvl", "idx").agg(F.max_by(F.struct(*encoding.ALPHA, "eta"), "batch_id").alias("x"))
         return latest.select("sid", "lvl", "idx", "x.*")
 
 
