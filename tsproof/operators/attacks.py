@@ -9,12 +9,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from tsproof.functions import encoding
 from tsproof.operators import client
 
 #: kind -> check expected to catch it (fixed values).
 EXACT = {
     "sum_raised": "root", "hash_replaced": "root", "node_dropped": "covering", "outer_altered": "root", "extreme_reduced": "root",
-    "wrong_total": "fold", "other_window": "covering", "other_stream": "anchor", "stretched_cover": "covering",
+    "wrong_total": "fold", "other_window": "covering", "other_stream": "anchor", "stretched_cover": "covering", "older_height": "covering",
 }
 APPROX = {"line_moved": "root", "bound_halved": "root", "segment_dropped": "covering", "interval_tightened": "interval", "cap_halved": "anchor"}
 RANGE = {"record_dropped": "covering", "record_altered": "root"}
@@ -49,6 +50,9 @@ def forge_exact(kind: str, query: dict, proof: list[dict], anchor: dict) -> clie
         q["sid"] += "x"
     elif kind == "stretched_cover":
         q["t_s"] += 1  # honest nodes and outer records, but the first record now lies outside
+    elif kind == "older_height":  # a proof of the past held against the digest of a later, longer stream
+        a |= {"height": a["height"] + 1, "raw_n": 2 * a["raw_n"], "raw_root": encoding.sha("later")}
+        a["digest"] = encoding.py_anchor_digest(a)
     return client.verify(q, p, a, claim)
 
 
