@@ -132,3 +132,12 @@ def test_line_dedup(spark):
     out = line_dedup(spark.createDataFrame(rows, "doc_id long, text string, _gone_text string")).collect()
     got = sorted(((r["doc_id"] or 0, r["text"], r["_lines_removed"]) for r in out), key=str)
     assert got == sorted([(1, rows[0][1], 0), (2, "second own line\n\nend of two", 2), (2, "second own line\n\nend of two", 2), (3, rows[2][1], 0), (4, "", 2), (5, None, 0), (6, "", 0), (0, shared, 0)], key=str)
+
+
+LONG = "One long line that several documents of the corpus share, each of them with other neighbours around it."
+
+
+def test_line_dedup_takes_one_long_line(spark):
+    rows = [(1, f"before\n{LONG}\nafter"), (2, f"other before\n  {LONG.replace(' ', '  ', 3)}\nother after"), (3, LONG), (4, f"{LONG[:50]}\nmore")]
+    got = {r["doc_id"]: r["text"] for r in line_dedup(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {1: rows[0][1], 2: "other before\nother after", 3: "", 4: rows[3][1]}

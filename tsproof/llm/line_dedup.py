@@ -1,11 +1,12 @@
 """Line deduplication by pairwise alignment.
 
-Seeds are hashes of ``block`` consecutive non-blank lines (stripped).  Every repeated seed links a document with the first
+Seeds are hashes of each line of at least ``chars`` characters (blanks between words counted once) and of ``block``
+consecutive non-blank lines (stripped) that are not all so long.  Every repeated seed links a document with the first
 document (smallest doc_id) that holds it, so a passage shared by many documents gives one pair per document.  Each
 pair is aligned with patience diff: lines unique on both sides and equal are anchors, their longest increasing
 chain splits the pair, and matches grow from the anchors; where no unique line is left the common prefix and suffix
-match.  Aligned common blocks of at least ``block`` non-blank lines and ``chars`` characters are deleted from the later
-document.  Seeds that rare lines give lead to few partners; frequent ones add no more than one partner each, so
+match.  Aligned common blocks of at least ``chars`` characters are deleted from the later document: one long line is a
+block, shorter ones need ``block`` non-blank lines.  Seeds that rare lines give lead to few partners; frequent ones add no more than one partner each, so
 nothing is capped and hot lines need no special way.
 
 All pairs are judged on the input, so the result doesn't depend on the order of work.
@@ -30,8 +31,9 @@ from pyspark.sql import functions as F
 from tsproof.llm import shared, textkit
 
 
-def line_hashes(arr: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-    """Hash of each line of each row (stripped; 0 if blank) and row offsets into them."""
+def line_hashes(arr: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Hash of each line of each row (stripped; 0 if blank), its characters with single blanks between words, and row
+    offsets into both."""
     data, offsets = textkit.buffers(arr)
     n = len(arr)
     # words of a line decide its hash, so blanks at its ends or in repetition don't
@@ -42,6 +44,7 @@ def line_hashes(arr: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     total = len(cut) + n
     place = textkit.mix(w.hashes())
     rank = np.zeros(len(place), np.int64)
+    sizes = np.zeros(total, np.int64)
     if len(place):
         new = np.concatenate(([True], lines_before[1:] != lines_before[:-1]))
         starts = np.flatnonzero(new)
@@ -50,22 +53,28 @@ def line_hashes(arr: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         sums = np.add.reduceat(mixed, starts)
         out = np.zeros(total, np.uint64)
         out[lines_before[starts]] = textkit.mix(sums) | np.uint64(1)
+        letters = np.concatenate(([0], np.cumsum((data & 0xC0) != 0x80)))
+        sizes[lines_before[starts]] = np.add.reduceat(letters[w.end] - letters[w.start] + 1, starts) - 1
     else:
         out = np.zeros(total, np.uint64)
     first = np.concatenate(([0], np.cumsum(1 + np.bincount(row_of_cut, minlength=n)))) if n else np.zeros(1, np.int64)
-    return out, first
+    return out, sizes, first
 
 
-def _seeds(block: int):
+def _seeds(block: int, chars: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for b in textkit.pieces(batch, "text"):
-                h, first = line_hashes(b.column(1))
+                h, sizes, first = line_hashes(b.column(1))
                 solid = np.flatnonzero(h)
                 before = np.concatenate(([0], np.cumsum(h != 0)))[first]
+                long = sizes[solid] >= chars
+                n_long = np.concatenate(([0], np.cumsum(long)))
                 at = textkit.inside(before, block)
-                row = np.searchsorted(before, at, "right") - 1
-                seed = textkit.windows(h[solid], block)[at].view(np.int64)
+                at = at[n_long[at + block] - n_long[at] < block]
+                alone = np.flatnonzero(long)
+                row = np.searchsorted(before, np.concatenate((at, alone)), "right") - 1
+                seed = np.concatenate((textkit.windows(h[solid], block)[at], textkit.windows(h[solid], 1)[alone])).view(np.int64)
                 order = np.lexsort((seed, row))
                 row, seed = row[order], seed[order]
                 one = np.ones(len(row), bool)
@@ -117,13 +126,14 @@ def patience(a: list[int], b: list[int]) -> list[tuple[int, int]]:
     return sorted(out)
 
 
-def common_blocks(a: list[int], b: list[int], sizes: list[int], block: int, chars: int) -> list[int]:
-    """Lines of b inside aligned common blocks; ``a`` and ``b`` are hashes of non-blank lines, ``sizes`` characters of b's."""
+def common_blocks(a: list[int], b: list[int], sizes: list[int], words: list[int], block: int, chars: int) -> list[int]:
+    """Lines of b inside aligned common blocks; ``a`` and ``b`` are hashes of non-blank lines, ``sizes`` characters of b's,
+    ``words`` the same with single blanks."""
     out, run = [], []
     for pair in [*patience(a, b), None]:
         if run and (pair is None or pair[0] != run[-1][0] + 1 or pair[1] != run[-1][1] + 1):
             lines = [j for _, j in run]
-            if len(lines) >= block and sum(sizes[j] for j in lines) >= chars:
+            if sum(words[j] for j in lines) >= chars or len(lines) >= block and sum(sizes[j] for j in lines) >= chars:
                 out += lines
             run = []
         if pair:
@@ -138,14 +148,14 @@ def _align(block: int, chars: int):
                 first = b.column(0).to_numpy()
                 turn = np.concatenate(([True], first[1:] != first[:-1]))
                 hub = np.cumsum(turn) - 1
-                ha, fa = line_hashes(b.column(2).take(pa.array(np.flatnonzero(turn))))
-                hb, fb = line_hashes(b.column(3))
+                ha, _, fa = line_hashes(b.column(2).take(pa.array(np.flatnonzero(turn))))
+                hb, wb, fb = line_hashes(b.column(3))
                 ids, marks, gone = [], [], []
                 for k, (doc, text, mark) in enumerate(zip(*[b.column(i).to_pylist() for i in (1, 3, 4)], strict=True)):
                     left, right = ha[fa[hub[k]] : fa[hub[k] + 1]], hb[fb[k] : fb[k + 1]]
                     solid = np.flatnonzero(right)
                     lines = text.split("\n")
-                    cut = common_blocks(left[left != 0].tolist(), right[solid].tolist(), [len(lines[i]) for i in solid], block, chars)
+                    cut = common_blocks(left[left != 0].tolist(), right[solid].tolist(), [len(lines[i]) for i in solid], wb[fb[k] : fb[k + 1]][solid].tolist(), block, chars)
                     if cut:
                         ids.append(doc)
                         marks.append(mark)
@@ -159,7 +169,7 @@ def line_dedup(docs: DataFrame, block: int = 2, chars: int = 60) -> DataFrame:
     """All columns of ``docs`` with the shortened ``text``, and _lines (in the input) and _lines_removed."""
     docs = docs.drop("_lines", "_lines_removed")
     own = shared.one_row_per_id(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").where("text is not null"), "doc_id", "text")
-    seeds = own.mapInArrow(_seeds(block), "doc_id long, seed long")
+    seeds = own.mapInArrow(_seeds(block, chars), "doc_id long, seed long")
     seeds_of = seeds.groupBy("seed").agg(F.min("doc_id").alias("a"), F.count("*").alias("n")).where("n > 1").select("seed", "a")
     pairs = seeds.join(seeds_of, "seed").where("doc_id > a").select("a", F.col("doc_id").alias("b")).distinct()
     right = pairs.join(own.select(F.col("doc_id").alias("b"), F.col("text").alias("text_b")), "b")
