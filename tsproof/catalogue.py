@@ -641,6 +641,13 @@ for _dir, _op, _fn in (("backward", "<=", "max"), ("forward", ">=", "min")):
     )
 
 
+# the same over whole tables, with keys that have no match on the other side
+for _dir, _op in (("backward", ">="), ("forward", "<=")):
+    query(f"join_asof_{_dir}_whole", f"select o_orderkey, l_shipdate as at from orders asof left join lineitem on o_custkey = l_suppkey and o_orderdate {_op} l_shipdate")(
+        lambda spark, d, x=_dir: relops.join_asof(_t(spark, d, "orders", "o_orderkey", "o_custkey", "o_orderdate").select("o_orderkey", F.col("o_custkey").alias("k"), F.col("o_orderdate").alias("ts")), _t(spark, d, "lineitem", "l_suppkey", "l_shipdate").select(F.col("l_suppkey").alias("k"), F.col("l_shipdate").alias("ts"), F.col("l_shipdate").alias("at")), "k", "ts", "at", x).select("o_orderkey", "at")
+    )
+
+
 @query("agg_five", "select event_type, sum(v)::bigint as s, count(v) as n, min(v) as mn, max(v) as mx, round(avg(v), 6) as avg from (select event_type, round(value * 100)::bigint as v from events) group by event_type")
 def agg_five(spark: SparkSession, d: str) -> DataFrame:
     return relops.agg5(_t(spark, d, "events", "event_type", "value").select("event_type", streams.cents("value").alias("v")), ["event_type"], "v")
