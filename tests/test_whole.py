@@ -32,3 +32,11 @@ def test_asof_takes_every_order(spark, sf, name, op, pick):
     slow = db.execute(f"select o_orderkey, (select {pick}(l_shipdate) from lineitem where l_suppkey = o_custkey and l_shipdate {op} o_orderdate) from orders").fetchall()
     assert plain((r["o_orderkey"], r["at"]) for r in rows) == plain(slow)
     assert any(r["at"] is None for r in rows) and any(r["at"] for r in rows)
+
+
+@pytest.mark.parametrize("how", ["left", "right", "full"])
+def test_outer_joins_take_every_row(spark, sf, how):
+    rows, db = equals_sql(spark, sf, f"join_{how}_whole"), database(sf)
+    assert sum(r["n"] for r in rows) == db.execute("select count(*) from orders").fetchone()[0]
+    if how != "right":
+        assert len({r["c_custkey"] for r in rows} - {None}) == db.execute("select count(*) from customer").fetchone()[0]

@@ -604,6 +604,11 @@ for _how in ("left", "right", "full"):
     query(f"join_{_how}", f"select c_custkey, count(o_orderkey) as n from (select c_custkey from customer where c_custkey % 3 = 0) c {_how} join (select o_orderkey, o_custkey from orders where o_custkey % 2 = 0) o on c_custkey = o_custkey group by c_custkey")(lambda spark, d, h=_how: _t(spark, d, "customer", "c_custkey").where("c_custkey % 3 = 0").join(_t(spark, d, "orders", "o_orderkey", "o_custkey").where("o_custkey % 2 = 0"), F.col("c_custkey") == F.col("o_custkey"), h).groupBy("c_custkey").agg(F.count("o_orderkey").alias("n")))
 
 
+# the same over all customers and orders
+for _how in ("left", "right", "full"):
+    query(f"join_{_how}_whole", f"select c_custkey, count(o_orderkey) as n from customer {_how} join orders on c_custkey = o_custkey group by c_custkey")(lambda spark, d, h=_how: _t(spark, d, "customer", "c_custkey").join(_t(spark, d, "orders", "o_orderkey", "o_custkey"), F.col("c_custkey") == F.col("o_custkey"), h).groupBy("c_custkey").agg(F.count("o_orderkey").alias("n")))
+
+
 @query("join_merge_orders", "select o_orderkey, count(*) as n, sum(round(l_extendedprice * 100)::bigint)::bigint as s from orders join lineitem on l_orderkey = o_orderkey group by o_orderkey")
 def join_merge_orders(spark: SparkSession, d: str) -> DataFrame:
     li = _t(spark, d, "lineitem", "l_orderkey", "l_extendedprice").select(F.col("l_orderkey").alias("o_orderkey"), streams.cents("l_extendedprice").alias("v"))
