@@ -40,3 +40,15 @@ def test_outer_joins_take_every_row(spark, sf, how):
     assert sum(r["n"] for r in rows) == db.execute("select count(*) from orders").fetchone()[0]
     if how != "right":
         assert len({r["c_custkey"] for r in rows} - {None}) == db.execute("select count(*) from customer").fetchone()[0]
+
+
+def test_value_blindness_takes_whole_streams(spark):
+    db = database("/root/testdata/sf0.01")
+    n = db.execute("select count(*) from events").fetchone()[0]
+    blocks = db.execute("select count(distinct event_id // 10) from events").fetchone()[0]
+    rows = entry.queries()["experiment_value_blindness"](spark, "/root/testdata/sf0.01").collect()
+    assert {r["n"] for r in rows if r["stream"] == "rate_block"} == {blocks}
+    events = [r for r in rows if r["stream"] != "rate_block"]
+    assert {r["n"] for r in events} == {n} and len({r["stream"] for r in events}) == 5
+    longest = [r["bytes"] for r in events if r["k"] == 2000]
+    assert len(longest) == 5 and max(longest) == min(longest)

@@ -345,13 +345,14 @@ def halve(spark: SparkSession, d: str, names: tuple[str, ...] = ("rate_block", "
     return _all(out)
 
 
-def value_blindness(spark: SparkSession, d: str, names: tuple[str, ...] = ("event_tail", "event_amt", "state_balance", "state_centred", "const_unit"), n: int = 1000) -> DataFrame:
-    """Proof bytes of streams of one length: the exact path doesn't depend on values."""
+def value_blindness(spark: SparkSession, d: str, names: tuple[str, ...] = ("event_tail", "event_amt", "state_balance", "state_centred", "const_unit", "rate_block")) -> DataFrame:
+    """Proof bytes of whole streams by window length: the exact path depends on records ``n``, not on values."""
     out = []
     for name in names:
-        p = prepare(spark, d, name, limit=n)
-        q = queries_of(p, 20, only=[n // 5])
-        out.append(costs.vo_bytes(exact.prove_aggregate(exact.locate(q, p.records, p.anchors), p.nodes, p.records)).agg(F.avg("bytes").alias("bytes")).withColumn("stream", F.lit(name)))
+        p = prepare(spark, d, name)
+        q = queries_of(p)
+        size = costs.vo_bytes(exact.prove_aggregate(exact.locate(q, p.records, p.anchors), p.nodes, p.records)).join(q.select("qid", "k"), "qid")
+        out.append(size.groupBy("k").agg(F.avg("bytes").alias("bytes")).withColumns({"stream": F.lit(name), "n": F.lit(p.n)}))
     return _all(out)
 
 
