@@ -7,6 +7,8 @@ import pytest
 
 import __spark_entry__ as entry
 from tests.test_queries import plain
+from tsproof import catalogue
+from tsproof import experiments as ex
 
 
 def database(sf):
@@ -52,3 +54,18 @@ def test_value_blindness_takes_whole_streams(spark):
     assert {r["n"] for r in events} == {n} and len({r["stream"] for r in events}) == 5
     longest = [r["bytes"] for r in events if r["k"] == 2000]
     assert len(longest) == 5 and max(longest) == min(longest)
+
+
+FULL = {"halve": ex.halve, "boundary": ex.boundary, "encoders": ex.encoder_study, "range_size": ex.range_size, "agg_bytes": ex.agg_vo, "percentile_budget": ex.percentile_contrast, "tamper": ex.tamper, "construction": ex.construction}
+
+
+@pytest.mark.parametrize("name", FULL)
+def test_experiments_are_registered_with_their_defaults(name):
+    assert catalogue.QUERIES[f"experiment_{name}"] is FULL[name]
+
+
+def test_encoder_study_reports_unmatched_counts(spark, sf):
+    rows = ex.encoder_study(spark, sf, ("rate_block",), (0.9,), rounds=1).collect()
+    assert {r["policy"] for r in rows} == {"uniform", "learned", "adversarial", "edge_aware"}
+    assert all(r["matched"] == (abs(r["s"] - r["target"]) <= 0.02 * r["target"]) for r in rows)
+    assert all(r["matched"] for r in rows if r["policy"] == "uniform")

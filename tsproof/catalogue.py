@@ -500,7 +500,7 @@ def tamper_matrix(spark: SparkSession, d: str) -> DataFrame:
     return ex.tamper(spark, d, ("rate_block", "event_amt")).groupBy("kind").agg(F.sum("attempts").alias("attempts"), F.sum("rejected").alias("rejected"), F.sum("as_expected").alias("as_expected"))
 
 
-for _name, _make in (("experiment_stream_table", ex.stream_table), ("experiment_touched", ex.touched), ("experiment_proof_size", ex.proof_size), ("experiment_break_even", ex.break_even), ("experiment_widths", ex.widths), ("experiment_value_blindness", ex.value_blindness), ("experiment_scale", ex.scale), ("experiment_budget_sweep", ex.budget_sweep), ("experiment_halve", lambda s, d: ex.halve(s, d, ("rate_block", "const_unit"))), ("experiment_boundary", lambda s, d: ex.boundary(s, d, ("rate_block",), (0.5, 2.0))), ("experiment_encoders", lambda s, d: ex.encoder_study(s, d, ("rate_block",), (0.9,), 4)), ("experiment_range_size", lambda s, d: ex.range_size(s, d, ("rate_block", "event_amt"), 10)), ("experiment_agg_bytes", lambda s, d: ex.agg_vo(s, d, ("rate_block", "event_amt"), 10)), ("experiment_repeats", ex.repeats), ("experiment_percentile_budget", lambda s, d: ex.percentile_contrast(s, d, ("rate_block", "event_amt"))), ("experiment_tamper", lambda s, d: ex.tamper(s, d, ("rate_block",))), ("experiment_latency", ex.latency), ("experiment_client_time", ex.client_time), ("experiment_construction", lambda s, d: ex.construction(s, d, ("rate_block", "event_amt")))):
+for _name, _make in (("experiment_stream_table", ex.stream_table), ("experiment_touched", ex.touched), ("experiment_proof_size", ex.proof_size), ("experiment_break_even", ex.break_even), ("experiment_widths", ex.widths), ("experiment_value_blindness", ex.value_blindness), ("experiment_scale", ex.scale), ("experiment_budget_sweep", ex.budget_sweep), ("experiment_halve", ex.halve), ("experiment_boundary", ex.boundary), ("experiment_encoders", ex.encoder_study), ("experiment_range_size", ex.range_size), ("experiment_agg_bytes", ex.agg_vo), ("experiment_repeats", ex.repeats), ("experiment_percentile_budget", ex.percentile_contrast), ("experiment_tamper", ex.tamper), ("experiment_latency", ex.latency), ("experiment_client_time", ex.client_time), ("experiment_construction", ex.construction)):
     query(_name)(_make)
 
 
