@@ -141,3 +141,24 @@ def test_line_dedup_takes_one_long_line(spark):
     rows = [(1, f"before\n{LONG}\nafter"), (2, f"other before\n  {LONG.replace(' ', '  ', 3)}\nother after"), (3, LONG), (4, f"{LONG[:50]}\nmore")]
     got = {r["doc_id"]: r["text"] for r in line_dedup(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     assert got == {1: rows[0][1], 2: "other before\nother after", 3: "", 4: rows[3][1]}
+
+
+def test_line_dedup_is_brute_force(spark):
+    rng = random.Random(11)
+    pool = [f"line {i} of " + "word " * rng.randint(0, 12) + "end" for i in range(12)]
+    p, q, o, m, z = LONG[:40], LONG[40:80].strip(), "own one", "own two", "own three"
+    rows = [(1, "\n".join([o, p, q, m, p, q, z])), (2, "\n".join(["x", p, q, "y"])), (3, "\n".join([q, p, "u", LONG, "v"])), (4, "\n".join([LONG, "w", q, p]))]
+    rows += [(10 + i, "\n".join(rng.choice(pool) for _ in range(rng.randint(1, 9)))) for i in range(60)]
+    lines, want = {i: t.split("\n") for i, t in rows}, {}
+    for i, mine in lines.items():
+        gone = set()
+        for d in (x for n, x in lines.items() if n < i):
+            held = {tuple(d[a:b]) for a in range(len(d)) for b in range(a + 1, len(d) + 1)}
+            for a in range(len(mine)):
+                for b in range(a + 1, len(mine) + 1):
+                    if sum(map(len, mine[a:b])) >= 60 and tuple(mine[a:b]) in held:
+                        gone |= set(range(a, b))
+        want[i] = "\n".join(x for n, x in enumerate(mine) if n not in gone)
+    assert want[2] == "x\ny" and want[4] == "w"
+    got = {r["doc_id"]: r["text"] for r in line_dedup(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == want

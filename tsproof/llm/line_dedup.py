@@ -1,13 +1,17 @@
 """Line deduplication by pairwise alignment.
 
-Seeds are hashes of each line of at least ``chars`` characters (blanks between words counted once) and of ``block``
-consecutive non-blank lines (stripped) that are not all so long.  Every repeated seed links a document with the first
-document (smallest doc_id) that holds it, so a passage shared by many documents gives one pair per document.  Each
+Seeds are hashes of runs of consecutive non-blank lines (stripped): from each line on, and up to each line, the shortest
+run of at least ``chars`` characters (blanks between words counted once), which is one line if it is long enough; and runs
+of ``block`` lines below that.  Every repeated seed links a document with the first document (smallest doc_id) that holds
+it, so a passage shared by many documents gives one pair per document.  Each
 pair is aligned with patience diff: lines unique on both sides and equal are anchors, their longest increasing
 chain splits the pair, and matches grow from the anchors; where no unique line is left the common prefix and suffix
-match.  Aligned common blocks of at least ``chars`` characters are deleted from the later document: one long line is a
-block, shorter ones need ``block`` non-blank lines.  Seeds that rare lines give lead to few partners; frequent ones add no more than one partner each, so
-nothing is capped and hot lines need no special way.
+match.  Aligned common blocks of at least ``chars`` characters are deleted from the later document.  What alignment leaves
+because a passage repeats, or comes in another order, is settled by the seeds that both documents hold: each is a common
+block itself.  So a line goes if, and only if, it lies in a block of ``chars`` characters that some earlier document
+holds: such a block has a seed around each of its lines, and the seed's first holder decides.  (Blocks that reach
+``chars`` only by repeated blanks need ``block`` lines, and their first holder's alignment decides.)
+Frequent seeds add no more than one partner each, so nothing is capped and hot lines need no special way.
 
 All pairs are judged on the input, so the result doesn't depend on the order of work.
 
@@ -31,9 +35,9 @@ from pyspark.sql import functions as F
 from tsproof.llm import shared, textkit
 
 
-def line_hashes(arr: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Hash of each line of each row (stripped; 0 if blank), its characters with single blanks between words, and row
-    offsets into both."""
+def line_hashes(arr: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Hash of each line of each row (stripped; 0 if blank), its characters with single blanks between words, all its
+    characters, and row offsets into them."""
     data, offsets = textkit.buffers(arr)
     n = len(arr)
     # words of a line decide its hash, so blanks at its ends or in repetition don't
@@ -58,23 +62,68 @@ def line_hashes(arr: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     else:
         out = np.zeros(total, np.uint64)
     first = np.concatenate(([0], np.cumsum(1 + np.bincount(row_of_cut, minlength=n)))) if n else np.zeros(1, np.int64)
-    return out, sizes, first
+    lo, hi = np.zeros(total, np.int64), np.zeros(total, np.int64)
+    if n:
+        letters, line = np.concatenate(([0], np.cumsum((data & 0xC0) != 0x80))), np.arange(len(cut)) + row_of_cut
+        lo[first[:-1]], lo[line + 1] = offsets[:-1], cut + 1
+        hi[first[1:] - 1], hi[line] = offsets[1:], cut
+        lo, hi = letters[lo], letters[hi]
+    return out, sizes, hi - lo, first
+
+
+def _lists(values: np.ndarray, first: np.ndarray, kind: pa.DataType) -> pa.Array:
+    return pa.ListArray.from_arrays(pa.array(first, pa.int32()), pa.array(values, kind))
+
+
+def _lines(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Per document: hash, characters (single blanks; all) and place of its non-blank lines."""
+    for batch in batches:
+        for b in textkit.pieces(batch, "text"):
+            h, words, sizes, first = line_hashes(b.column(1))
+            solid = np.flatnonzero(h)
+            before = np.concatenate(([0], np.cumsum(h != 0)))[first]
+            place = np.arange(len(h)) - np.repeat(first[:-1], np.diff(first))
+            lists = [_lists(h[solid].view(np.int64), before, pa.int64()), *[_lists(x[solid], before, pa.int32()) for x in (words, sizes, place)]]
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), *lists], names=["doc_id", "mark", "h", "words", "sizes", "place"])
+
+
+def _flat(arr: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """Values of a list column and row offsets into them."""
+    return arr.flatten().to_numpy(zero_copy_only=False), np.concatenate(([0], np.cumsum(arr.value_lengths().to_numpy(zero_copy_only=False)))).astype(np.int64)
+
+
+def _slices(batch: pa.RecordBatch, column: str, limit: int = 1 << 18) -> Iterator[pa.RecordBatch]:
+    """Slices of a batch whose lists hold about ``limit`` lines (one row at least)."""
+    if not batch.num_rows:
+        return
+    n = batch.column(batch.schema.get_field_index(column)).value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
+    cuts = np.flatnonzero(np.diff((np.cumsum(n) - n) // limit)) + 1
+    for a, b in zip([0, *cuts.tolist()], [*cuts.tolist(), batch.num_rows], strict=True):
+        yield batch.slice(a, b - a)
+
+
+def _runs(words: np.ndarray, first: np.ndarray, block: int, chars: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Row, start and end of the runs of lines that are seeds."""
+    n = len(words)
+    total = np.concatenate(([0], np.cumsum(words, dtype=np.int64)))
+    lo, hi = (np.repeat(x, np.diff(first)) for x in (first[:-1], first[1:]))
+    line = np.arange(n)
+    end = np.searchsorted(total, total[:-1] + chars, "left")
+    start = np.searchsorted(total, total[1:] - chars, "right") - 1
+    on, back = end <= hi, start >= lo
+    at = textkit.inside(first, block)
+    at = at[total[at + block] - total[at] < chars]
+    starts, ends = np.concatenate((line[on], start[back], at)), np.concatenate((end[on], line[back] + 1, at + block))
+    return np.searchsorted(first, starts, "right") - 1, starts, ends
 
 
 def _seeds(block: int, chars: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for b in textkit.pieces(batch, "text"):
-                h, sizes, first = line_hashes(b.column(1))
-                solid = np.flatnonzero(h)
-                before = np.concatenate(([0], np.cumsum(h != 0)))[first]
-                long = sizes[solid] >= chars
-                n_long = np.concatenate(([0], np.cumsum(long)))
-                at = textkit.inside(before, block)
-                at = at[n_long[at + block] - n_long[at] < block]
-                alone = np.flatnonzero(long)
-                row = np.searchsorted(before, np.concatenate((at, alone)), "right") - 1
-                seed = np.concatenate((textkit.windows(h[solid], block)[at], textkit.windows(h[solid], 1)[alone])).view(np.int64)
+            for b in _slices(batch, "h"):
+                (h, first), (words, _) = _flat(b.column(1)), _flat(b.column(2))
+                row, start, end = _runs(words, first, block, chars)
+                seed = textkit.spans(h.view(np.uint64), start, end).view(np.int64)
                 order = np.lexsort((seed, row))
                 row, seed = row[order], seed[order]
                 one = np.ones(len(row), bool)
@@ -144,23 +193,26 @@ def common_blocks(a: list[int], b: list[int], sizes: list[int], words: list[int]
 def _align(block: int, chars: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for b in textkit.pieces(batch, "text_b", 1 << 20):
-                first = b.column(0).to_numpy()
-                turn = np.concatenate(([True], first[1:] != first[:-1]))
-                hub = np.cumsum(turn) - 1
-                ha, _, fa = line_hashes(b.column(2).take(pa.array(np.flatnonzero(turn))))
-                hb, wb, fb = line_hashes(b.column(3))
-                ids, marks, gone = [], [], []
-                for k, (doc, text, mark) in enumerate(zip(*[b.column(i).to_pylist() for i in (1, 3, 4)], strict=True)):
-                    left, right = ha[fa[hub[k]] : fa[hub[k] + 1]], hb[fb[k] : fb[k + 1]]
-                    solid = np.flatnonzero(right)
-                    lines = text.split("\n")
-                    cut = common_blocks(left[left != 0].tolist(), right[solid].tolist(), [len(lines[i]) for i in solid], wb[fb[k] : fb[k + 1]][solid].tolist(), block, chars)
-                    if cut:
-                        ids.append(doc)
-                        marks.append(mark)
-                        gone.append(solid[cut].astype(np.int32).tolist())
-                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(marks, pa.int64()), pa.array(gone, pa.list_(pa.int32()))], names=["doc_id", "mark", "gone"])
+            for b in _slices(batch, "h"):
+                (ha, fa), (wa, _), (hb, fb), (wb, _), (sb, _), (place, _) = (_flat(b.column(x)) for x in ("h_a", "words_a", "h", "words", "sizes", "place"))
+                ra, ia, ja = _runs(wa, fa, block, chars)
+                rb, ib, jb = _runs(wb, fb, block, chars)
+                # a seed of the pair's other side is the same hash in the same row
+                key_a, key_b = (textkit.spans(h.view(np.uint64), i, j) ^ textkit.mix(r + 1) for h, i, j, r in ((ha, ia, ja, ra), (hb, ib, jb, rb)))
+                by_words, by_all = (np.concatenate(([0], np.cumsum(x, dtype=np.int64))) for x in (wb, sb))
+                hit = np.isin(key_b, key_a) & ((by_words[jb] - by_words[ib] >= chars) | ((jb - ib >= block) & (by_all[jb] - by_all[ib] >= chars)))
+                edge = np.zeros(len(hb) + 1, np.int64)
+                np.add.at(edge, ib[hit], 1)
+                np.add.at(edge, jb[hit], -1)
+                goes = np.cumsum(edge)[:-1] > 0
+                for k in range(b.num_rows):
+                    mine = slice(fb[k], fb[k + 1])
+                    cut = common_blocks(ha[fa[k] : fa[k + 1]].tolist(), hb[mine].tolist(), sb[mine].tolist(), wb[mine].tolist(), block, chars)
+                    goes[fb[k] + np.array(cut, np.int64)] = True
+                n = np.concatenate(([0], np.cumsum(goes)))[fb]
+                some = pa.array(np.diff(n) > 0)
+                out = pa.RecordBatch.from_arrays([b.column("b"), b.column("mark"), _lists(place[goes], n, pa.int32())], names=["doc_id", "mark", "gone"])
+                yield out.filter(some)
 
     return run
 
@@ -169,16 +221,19 @@ def line_dedup(docs: DataFrame, block: int = 2, chars: int = 60) -> DataFrame:
     """All columns of ``docs`` with the shortened ``text``, and _lines (in the input) and _lines_removed."""
     docs = docs.drop("_lines", "_lines_removed")
     own = shared.one_row_per_id(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").where("text is not null"), "doc_id", "text")
-    seeds = own.mapInArrow(_seeds(block, chars), "doc_id long, seed long")
-    seeds_of = seeds.groupBy("seed").agg(F.min("doc_id").alias("a"), F.count("*").alias("n")).where("n > 1").select("seed", "a")
+    # alignment needs hashes and sizes of lines only, so no text is shuffled for it
+    lines = shared.written(own.withColumn("mark", F.xxhash64("text")).mapInArrow(_lines, "doc_id long, mark long, h array<long>, words array<int>, sizes array<int>, place array<int>"))
+    seeds = lines.select("doc_id", "h", "words").mapInArrow(_seeds(block, chars), "doc_id long, seed long")
+    # written, so that the join reads plain shuffles and a hot seed's rows can be split
+    seeds_of = shared.written(seeds.groupBy("seed").agg(F.min("doc_id").alias("a"), F.count("*").alias("n")).where("n > 1").select("seed", "a"))
     pairs = seeds.join(seeds_of, "seed").where("doc_id > a").select("a", F.col("doc_id").alias("b")).distinct()
-    right = pairs.join(own.select(F.col("doc_id").alias("b"), F.col("text").alias("text_b")), "b")
-    both = right.join(own.select(F.col("doc_id").alias("a"), F.col("text").alias("text_a")).hint("merge"), "a")
-    cut = both.select("a", "b", "text_a", "text_b", F.xxhash64("text_b").alias("mark")).mapInArrow(_align(block, chars), "doc_id long, mark long, gone array<int>")
+    right = pairs.join(lines.withColumnRenamed("doc_id", "b"), "b")
+    both = right.join(lines.select(F.col("doc_id").alias("a"), F.col("h").alias("h_a"), F.col("words").alias("words_a")).hint("merge"), "a")
+    cut = both.select("b", "mark", "h", "words", "sizes", "place", "h_a", "words_a").mapInArrow(_align(block, chars), "doc_id long, mark long, gone array<int>")
     gone = cut.groupBy(F.col("doc_id").alias("_id"), F.col("mark").alias("_mark")).agg(F.array_distinct(F.flatten(F.collect_list("gone"))).alias("_gone"))
     out = docs.join(gone.hint("merge"), (docs["doc_id"].cast("long") == gone["_id"]) & (F.xxhash64(docs["text"]) == gone["_mark"]), "left")
-    lines, cuts = F.split(docs["text"], "\n", -1), gone["_gone"]
-    kept = F.array_join(F.filter(F.transform(lines, lambda x, i: F.when(~F.array_contains(cuts, i), x)), lambda x: x.isNotNull()), "\n")
+    split, cuts = F.split(docs["text"], "\n", -1), gone["_gone"]
+    kept = F.array_join(F.filter(F.transform(split, lambda x, i: F.when(~F.array_contains(cuts, i), x)), lambda x: x.isNotNull()), "\n")
     text = F.when(cuts.isNull(), docs["text"]).otherwise(kept)
-    counts = [F.greatest(F.coalesce(F.size(c), F.lit(0)), F.lit(0)).cast("long") for c in (lines, cuts)]
+    counts = [F.greatest(F.coalesce(F.size(c), F.lit(0)), F.lit(0)).cast("long") for c in (split, cuts)]
     return out.select(*[text.alias(c) if c == "text" else docs[c] for c in docs.columns], counts[0].alias("_lines"), counts[1].alias("_lines_removed"))

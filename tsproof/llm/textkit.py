@@ -133,6 +133,15 @@ def windows(words: np.ndarray, width: int, lane: int = 0) -> np.ndarray:
     return mix((total[width:] - total[: n - width + 1]) * down[: n - width + 1])
 
 
+def spans(words: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+    """Hash of each run ``words[start:end]``; equals ``windows`` for runs of one width."""
+    n = len(words)
+    up, down = _WINDOWS[0].get(n + 1)
+    total = np.zeros(n + 1, dtype=U64)
+    np.cumsum(words * up[:n], out=total[1:])
+    return mix((total[end] - total[start]) * down[start])
+
+
 def inside(first: np.ndarray, width: int) -> np.ndarray:
     """Positions at which a window of ``width`` words lies within one row; ``first`` as in ``Words``."""
     n = int(first[-1]) - width + 1
