@@ -92,7 +92,7 @@ def _flat(arr: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return arr.flatten().to_numpy(zero_copy_only=False), np.concatenate(([0], np.cumsum(arr.value_lengths().to_numpy(zero_copy_only=False)))).astype(np.int64)
 
 
-def _slices(batch: pa.RecordBatch, column: str, limit: int = 1 << 18) -> Iterator[pa.RecordBatch]:
+def _slices(batch: pa.RecordBatch, column: str, limit: int = 1 << 15) -> Iterator[pa.RecordBatch]:
     """Slices of a batch whose lists hold about ``limit`` lines (one row at least)."""
     if not batch.num_rows:
         return
