@@ -8,7 +8,7 @@ import pytest
 
 from tsproof.llm.components import components
 from tsproof.llm.line_dedup import line_dedup, patience
-from tsproof.llm.near_dedup import near_duplicates
+from tsproof.llm.near_dedup import blocks_of, near_duplicates
 from tsproof.llm.substring_dedup import COVERS, substring_dedup
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
@@ -79,9 +79,10 @@ def near_rows():
     return rows + [(r[0], r[1]) for r in corpus(2)]
 
 
-@pytest.mark.parametrize("k", [2, 5])
-def test_near_duplicates_is_brute_force(spark, k):
-    rows = near_rows()
+@pytest.mark.parametrize("k,options", [(2, {}), (5, {}), (2, {"members": 7}), (5, {"members": 16, "shingles": 400})])
+def test_near_duplicates_is_brute_force(spark, k, options):
+    """Links of a chain cross the blocks of a bucket, however it is cut; ids lie near the ends of 64 bits too."""
+    rows = near_rows() + [(2**63 - 1 - i, r[1]) for i, r in enumerate(near_rows()[:40])] + [(-(2**63) + i, "far " + r[1]) for i, r in enumerate(near_rows()[40:60])]
     sets = {i: shingles(t, k) for i, t in unique(rows)}
     root = {i: i for i in sets}
 
@@ -97,7 +98,7 @@ def test_near_duplicates_is_brute_force(spark, k):
             if both and 100 * both >= 80 * len(sets[i] | sets[j]):
                 a, b = sorted((find(i), find(j)))
                 root[b] = a
-    out = near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), shingle=k).collect()
+    out = near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), shingle=k, **options).collect()
     assert sorted(map(tuple, out)) == [(i, len(sets[i]), find(i), find(i) == i) for i in ids]
 
 
@@ -107,6 +108,19 @@ def test_components(spark):
     assert out == {**{i: 0 for i in range(41)}, 100: 0, 200: 200, 201: 200}
 
 
+def test_blocks_pair_all_that_can_link(spark):
+    """Members of different components share a group, of bounded size, whatever blocks a bucket is cut into."""
+    comps = [0] * 60 + [1] * 25 + list(range(100, 130))
+    rows = [(7, 0, i, 1, c) for i, c in enumerate(comps)]
+    out = blocks_of(spark.createDataFrame(rows, "key long, hub long, doc_id long, n_shingles long, component_id long"), 10, 1000).collect()
+    groups = {}
+    for r in out:
+        groups.setdefault(r["sub"], set()).add(r["doc_id"])
+    met = {(a, b) for g in groups.values() for a in g for b in g}
+    assert all((a, b) in met for a, x in enumerate(comps) for b, y in enumerate(comps) if x != y)
+    assert max(map(len, groups.values())) <= 50 and len(out) == sum(map(len, groups.values()))
+
+
 def test_patience_matches_are_common_and_increasing():
     rng = random.Random(5)
     for _ in range(200):

@@ -10,10 +10,11 @@ Links are found in two passes and each is confirmed on the full shingle sets:
 * equal sets are one class (digest of the whole set); only the smallest id of a class goes on;
 * pass 1: within each band bucket every member is compared with the smallest member.  A bucket of near copies then
   falls into one component with one comparison per member;
-* pass 2: a bucket that still holds more than one component is one task's work (two blocks of it, if it is oversized):
-  members are compared, on full sets, with those of other components whose sizes and sketches allow the similarity,
-  most typical members first, and only links that join components come out.  Comparing inside a component would
-  change nothing.
+* pass 2: a bucket that still holds more than one component is cut into blocks of bounded members and shingles, those
+  of the smallest member's component apart from the others, and every pair of blocks that can hold a new link is a group
+  of its own (comparing inside a component would change nothing, so blocks of the first kind never meet each other).
+  In a group, members are compared, on full sets, with those of other components whose sizes and sketches allow the
+  similarity, most typical members first, and only links that join components come out.
 
 With 128 coordinates in bands of 4 a pair at similarity 0.8 misses all bands with probability 5e-8; the sketch filter of
 pass 2 (0.6) stands 5.6 standard deviations below 0.8.  No pairs inside a group are listed, nothing is capped.
@@ -37,7 +38,8 @@ from tsproof.llm.components import components
 U64 = np.uint64
 ROWS = 4000  # rows a slice holds at most, so that the row number fits above a 52-bit shingle
 AGREE = 0.6
-SPLIT = 4000  # members from which a bucket of several components is cut into blocks
+#: A block of a bucket holds about so many members and shingles at most; groups of pass 2 are pairs of blocks.
+MEMBERS, SHINGLES = 256, 1 << 19
 
 
 def shingle_sets(arr: pa.Array, size: int) -> tuple[np.ndarray, np.ndarray]:
@@ -192,9 +194,40 @@ def _across(size: int, per_cent: int, coords: int):
     return run
 
 
-def near_duplicates(docs: DataFrame, shingle: int = 5, per_cent: int = 80, coords: int = 128, per_band: int = 4) -> DataFrame:
+def blocks_of(placed: DataFrame, members: int, shingles: int) -> DataFrame:
+    """(key, sub, doc_id, component_id) of every group of pass 2, for rows (key, hub, doc_id, n_shingles, component_id).
+
+    Block numbers 0.. of the hub's component come first, those of the other members after them; a group is a pair of one
+    block of each kind, or of two blocks of others.  A bucket of one block of each kind is one group.
+    """
+    home = F.max(F.when(F.col("doc_id") == F.col("hub"), F.col("component_id")))
+    mixed = placed.groupBy("key").agg(F.count("*").alias("n"), F.bit_xor(F.xxhash64("doc_id")).alias("mark"), F.min("component_id").alias("lo"), F.max("component_id").alias("hi"), home.alias("home"))
+    # pass 1 has settled buckets of two; equal buckets of several bands count once
+    alike = mixed.where("lo < hi and n > 2").groupBy("n", "mark").agg(F.min_by(F.struct("key", "home"), "key").alias("x")).select("x.*")
+    opened = shared.written(placed.join(alike, "key").select("key", "doc_id", "n_shingles", "component_id", (F.col("component_id") == F.col("home")).alias("own")))
+    side = opened.groupBy("key", "own").agg(F.greatest(F.ceil(F.count("*") / members), F.ceil(F.sum("n_shingles") / shingles)).cast("int").alias("c"))
+    cuts = side.groupBy("key").agg(F.max(F.when(F.col("own"), F.col("c"))).alias("k"), F.max(F.when(~F.col("own"), F.col("c"))).alias("l"))
+    opened = opened.join(cuts, "key").withColumn("at", F.pmod(F.xxhash64("doc_id", F.lit(1)), F.when(F.col("own"), F.col("k")).otherwise(F.col("l"))).cast("int"))
+    total = F.col("k") + F.col("l")
+    with_own = F.transform(F.sequence(F.lit(0), F.col("k") - 1), lambda x: x * total + F.col("k") + F.col("at"))
+    with_rest = F.transform(F.sequence(F.lit(0), F.col("l") - 1), lambda x: (F.col("k") + F.least(x, F.col("at"))) * total + F.col("k") + F.greatest(x, F.col("at")))
+    # two members of one block of others meet in that block's group with block 0 of the hub's component
+    with_rest = F.filter(with_rest, lambda x: x != (F.col("k") + F.col("at")) * (total + 1))
+    own_side = F.transform(F.sequence(F.lit(0), F.col("l") - 1), lambda x: F.col("at") * total + F.col("k") + x)
+    subs = F.when(F.col("own"), own_side).otherwise(F.concat(with_own, with_rest))
+    return opened.withColumn("sub", F.explode(subs)).select("key", "sub", "doc_id", "component_id")
+
+
+def across(placed: DataFrame, made: DataFrame, texts: DataFrame, size: int, per_cent: int, coords: int, members: int, shingles: int) -> DataFrame:
+    """Pass 2: (a, b) of confirmed links between components that share a bucket."""
+    opened = blocks_of(placed, members, shingles).join(made.select("doc_id", "sketch"), "doc_id").join(texts, "doc_id")
+    return opened.groupBy("key", "sub").applyInArrow(_across(size, per_cent, coords), "a long, b long").distinct()
+
+
+def near_duplicates(docs: DataFrame, shingle: int = 5, per_cent: int = 80, coords: int = 128, per_band: int = 4, members: int = MEMBERS, shingles: int = SHINGLES) -> DataFrame:
     """doc_id, n_shingles, component_id, kept: groups of documents linked by Jaccard similarity of word shingles of at
-    least ``per_cent`` hundredths; words are lower-cased in A-Z only."""
+    least ``per_cent`` hundredths; words are lower-cased in A-Z only.  ``members`` and ``shingles`` bound the blocks of
+    pass 2 and change the work's cut, never the result."""
     docs = shared.one_row_per_id(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), "doc_id", "text")
     made = docs.mapInArrow(_sketcher(shingle, coords, per_band), "doc_id long, n_shingles long, d1 long, d2 long, bands array<long>, sketch binary")
     made = shared.written(made)
@@ -204,9 +237,9 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, per_cent: int = 80, coord
     member = some.select("doc_id", "n_shingles", "d1", "d2").join(classes, ["n_shingles", "d1", "d2"]).select("doc_id", "head")
     heads = some.join(classes.select(F.col("head").alias("doc_id")), "doc_id", "left_semi")
 
-    dealt = heads.select("doc_id", F.explode("bands").alias("key"))
+    dealt = heads.select("doc_id", "n_shingles", F.explode("bands").alias("key"))
     shared_keys = dealt.groupBy("key").agg(F.min("doc_id").alias("hub"), F.count("*").alias("size")).where("size > 1")
-    bucketed = shared.written(dealt.join(shared_keys, "key").select("key", "hub", "size", "doc_id"))
+    bucketed = shared.written(dealt.join(shared_keys, "key").select("key", "hub", "doc_id", "n_shingles"))
     texts = shared.written(docs.join(bucketed.select("doc_id").distinct(), "doc_id", "left_semi"))
 
     def confirmed(pairs: DataFrame) -> DataFrame:
@@ -219,16 +252,7 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, per_cent: int = 80, coord
     comp = components(links)
 
     placed = bucketed.join(comp, "doc_id", "left").withColumn("component_id", F.coalesce("component_id", "doc_id"))
-    mixed = placed.groupBy("key").agg(F.count("*").alias("n"), F.bit_xor(F.xxhash64("doc_id")).alias("mark"), F.min("component_id").alias("lo"), F.max("component_id").alias("hi")).where("lo < hi")
-    alike = mixed.groupBy("n", "mark").agg(F.min("key").alias("key"))  # equal buckets of several bands count once
-    # a bucket of two is settled by pass 1; an oversized one is cut into blocks, and each pair of blocks is a group
-    opened = placed.drop("hub", "size").join(alike.where("n > 2").select("key", "n"), "key")
-    cuts = F.ceil(F.col("n") / SPLIT)
-    own = F.pmod(F.xxhash64("doc_id", F.lit(1)), cuts)
-    pair = F.transform(F.sequence(F.lit(0), cuts - 1), lambda x: F.least(x, own) * cuts + F.greatest(x, own))
-    opened = opened.withColumn("sub", F.explode(pair)).select("key", "sub", "doc_id", "component_id")
-    opened = opened.join(made.select("doc_id", "sketch"), "doc_id").join(texts, "doc_id")
-    extra = shared.written(opened.groupBy("key", "sub").applyInArrow(_across(shingle, per_cent, coords), "a long, b long").distinct())
+    extra = shared.written(across(placed, made, texts, shingle, per_cent, coords, members, shingles))
     if not extra.isEmpty():
         comp = components(links.union(extra))
 

@@ -18,12 +18,38 @@ def partitions(spark: SparkSession) -> int:
 def scratch(spark: SparkSession) -> str:
     """A fresh path in the folder that driver and executors share (``spark.checkpoint.dir``).
 
-    Where the setting is absent (tests, one machine) a local folder is used.
+    Where the setting is absent a local folder is used, on a local master only: executors of a cluster couldn't see it.
     """
     base = spark.conf.get("spark.checkpoint.dir", None) or getattr(spark, "_llm_scratch", None)
     if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         base = spark._llm_scratch = tempfile.mkdtemp(prefix="llm-")
-    return f"{base.rstrip('/')}/llm-{uuid.uuid4().hex}"
+    path = f"{base.rstrip('/')}/llm-{uuid.uuid4().hex}"
+    _made.setdefault(id(spark), []).append(path)
+    return path
+
+
+_made: dict[int, list[str]] = {}
+
+
+def mark(spark: SparkSession) -> int:
+    """A point in the list of scratch paths, for ``release``."""
+    return len(_made.get(id(spark), []))
+
+
+def release(spark: SparkSession, since: int = 0, keep: tuple[DataFrame, ...] = ()) -> int:
+    """Deletes the scratch paths made after ``since``, but for those that the frames of ``keep`` read; returns their
+    number.  Frames that read a deleted path can't be used any more, so call it once their results are written."""
+    made = _made.get(id(spark), [])
+    used = {f.split("/llm-")[-1].split("/")[0] for df in keep for f in df.inputFiles()}
+    gone = [p for p in made[since:] if p.rsplit("/llm-", 1)[-1] not in used]
+    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
+    for p in gone:
+        path = jvm.org.apache.hadoop.fs.Path(p)
+        path.getFileSystem(conf).delete(path, True)
+    _made[id(spark)] = made[:since] + [p for p in made[since:] if p not in set(gone)]
+    return len(gone)
 
 
 def written(df: DataFrame) -> DataFrame:
