@@ -157,13 +157,19 @@ def test_line_dedup_takes_one_long_line(spark):
     assert got == {1: rows[0][1], 2: "other before\nother after", 3: "", 4: rows[3][1]}
 
 
-def test_line_dedup_is_brute_force(spark):
+@pytest.mark.parametrize("rare", [0, 2, 8])
+def test_line_dedup_is_brute_force(spark, rare):
+    """Every pair of documents, every run of lines: rare seeds aligned, frequent ones by hash, the same result."""
     rng = random.Random(11)
     pool = [f"line {i} of " + "word " * rng.randint(0, 12) + "end" for i in range(12)]
     p, q, o, m, z = LONG[:40], LONG[40:80].strip(), "own one", "own two", "own three"
     rows = [(1, "\n".join([o, p, q, m, p, q, z])), (2, "\n".join(["x", p, q, "y"])), (3, "\n".join([q, p, "u", LONG, "v"])), (4, "\n".join([LONG, "w", q, p]))]
     rows += [(10 + i, "\n".join(rng.choice(pool) for _ in range(rng.randint(1, 9)))) for i in range(60)]
-    lines, want = {i: t.split("\n") for i, t in rows}, {}
+    # three earlier documents hold halves of a block that two later ones share whole
+    block = [f"part {i} of a block that is shared" for i in range(4)]
+    rows += [(200 + i, "\n".join([f"own {i}", *block[i : i + 2], f"end {i}"])) for i in range(3)] + [(300 + i, "\n".join([f"top {i}", *block, f"foot {i}"])) for i in range(2)]
+    rows += [(400, "tail\n" * 3000 + LONG), (401, "other\n" * 2 + "tail\n" * 2500)]
+    lines, want = {i: t.split("\n") for i, t in rows if i < 400}, {}
     for i, mine in lines.items():
         gone = set()
         for d in (x for n, x in lines.items() if n < i):
@@ -173,6 +179,7 @@ def test_line_dedup_is_brute_force(spark):
                     if sum(map(len, mine[a:b])) >= 60 and tuple(mine[a:b]) in held:
                         gone |= set(range(a, b))
         want[i] = "\n".join(x for n, x in enumerate(mine) if n not in gone)
-    assert want[2] == "x\ny" and want[4] == "w"
-    got = {r["doc_id"]: r["text"] for r in line_dedup(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert want[2] == "x\ny" and want[4] == "w" and want[301] == "top 1\nfoot 1"
+    got = {r["doc_id"]: r["text"] for r in line_dedup(spark.createDataFrame(rows, "doc_id long, text string"), rare=rare).collect()}
+    assert got.pop(400) == "tail\n" * 2999 + "tail" and got.pop(401) == "other\nother\n"
     assert got == want

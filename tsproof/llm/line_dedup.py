@@ -1,19 +1,20 @@
 """Line deduplication by pairwise alignment.
 
 Seeds are hashes of runs of consecutive non-blank lines (stripped): from each line on, and up to each line, the shortest
-run of at least ``chars`` characters (blanks between words counted once), which is one line if it is long enough; and runs
-of ``block`` lines below that.  Every repeated seed links a document with the first document (smallest doc_id) that holds
-it, so a passage shared by many documents gives one pair per document.  Each
-pair is aligned with patience diff: lines unique on both sides and equal are anchors, their longest increasing
-chain splits the pair, and matches grow from the anchors; where no unique line is left the common prefix and suffix
-match.  Aligned common blocks of at least ``chars`` characters are deleted from the later document.  What alignment leaves
-because a passage repeats, or comes in another order, is settled by the seeds that both documents hold: each is a common
-block itself.  So a line goes if, and only if, it lies in a block of ``chars`` characters that some earlier document
-holds: such a block has a seed around each of its lines, and the seed's first holder decides.  (Blocks that reach
-``chars`` only by repeated blanks need ``block`` lines, and their first holder's alignment decides.)
-Frequent seeds add no more than one partner each, so nothing is capped and hot lines need no special way.
-
-All pairs are judged on the input, so the result doesn't depend on the order of work.
+run of at least ``chars`` characters (blanks between words counted once), which is one line if it is long enough.  A
+seed that two to ``rare`` documents hold is rare; it links each later document with the first (smallest doc_id) that
+holds it.  Each linked pair is aligned with patience diff: lines unique on both sides and equal are anchors, their
+longest increasing chain splits the pair, and matches grow from the anchors; where no unique line is left the common
+prefix and suffix match.  Aligned common blocks of at least ``chars`` characters are deleted from the later document, and
+so are rare seeds of the pair that alignment leaves because a passage repeats or comes in another order.
+
+Frequent seeds need no partner: a seed is a common block itself, so its lines go from every document but the first that
+holds it.  They are settled by hash alone, and hot lines neither make pairs nor move texts.
+
+Together: a line goes if, and only if, it lies in a run of consecutive non-blank lines of at least ``chars`` characters
+that some earlier document holds.  (Each line of such a block lies in a seed of the block, and every seed is settled
+with its first holder.)  So the choice of ``rare`` and of partners changes the work, never the result.
+All documents are judged on the input, so the result doesn't depend on the order of work.
 
 Defined cases: null texts stay null, and are no one's partner; a text whose lines all go becomes empty; rows with a null
 doc_id are kept unchanged; of rows that share a doc_id the smallest text is aligned, and its deletions
@@ -35,9 +36,9 @@ from pyspark.sql import functions as F
 from tsproof.llm import shared, textkit
 
 
-def line_hashes(arr: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Hash of each line of each row (stripped; 0 if blank), its characters with single blanks between words, all its
-    characters, and row offsets into them."""
+def line_hashes(arr: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Hash of each line of each row (stripped; 0 if blank), its characters with single blanks between words, and row
+    offsets into them."""
     data, offsets = textkit.buffers(arr)
     n = len(arr)
     # words of a line decide its hash, so blanks at its ends or in repetition don't
@@ -62,13 +63,7 @@ def line_hashes(arr: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.n
     else:
         out = np.zeros(total, np.uint64)
     first = np.concatenate(([0], np.cumsum(1 + np.bincount(row_of_cut, minlength=n)))) if n else np.zeros(1, np.int64)
-    lo, hi = np.zeros(total, np.int64), np.zeros(total, np.int64)
-    if n:
-        letters, line = np.concatenate(([0], np.cumsum((data & 0xC0) != 0x80))), np.arange(len(cut)) + row_of_cut
-        lo[first[:-1]], lo[line + 1] = offsets[:-1], cut + 1
-        hi[first[1:] - 1], hi[line] = offsets[1:], cut
-        lo, hi = letters[lo], letters[hi]
-    return out, sizes, hi - lo, first
+    return out, sizes, first
 
 
 def _lists(values: np.ndarray, first: np.ndarray, kind: pa.DataType) -> pa.Array:
@@ -76,15 +71,15 @@ def _lists(values: np.ndarray, first: np.ndarray, kind: pa.DataType) -> pa.Array
 
 
 def _lines(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Per document: hash, characters (single blanks; all) and place of its non-blank lines."""
+    """Per document: hash, characters (single blanks) and place of its non-blank lines."""
     for batch in batches:
         for b in textkit.pieces(batch, "text"):
-            h, words, sizes, first = line_hashes(b.column(1))
+            h, words, first = line_hashes(b.column(1))
             solid = np.flatnonzero(h)
             before = np.concatenate(([0], np.cumsum(h != 0)))[first]
             place = np.arange(len(h)) - np.repeat(first[:-1], np.diff(first))
-            lists = [_lists(h[solid].view(np.int64), before, pa.int64()), *[_lists(x[solid], before, pa.int32()) for x in (words, sizes, place)]]
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), *lists], names=["doc_id", "mark", "h", "words", "sizes", "place"])
+            lists = [_lists(h[solid].view(np.int64), before, pa.int64()), *[_lists(x[solid], before, pa.int32()) for x in (words, place)]]
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), *lists], names=["doc_id", "mark", "h", "words", "place"])
 
 
 def _flat(arr: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -102,8 +97,8 @@ def _slices(batch: pa.RecordBatch, column: str, limit: int = 1 << 15) -> Iterato
         yield batch.slice(a, b - a)
 
 
-def _runs(words: np.ndarray, first: np.ndarray, block: int, chars: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Row, start and end of the runs of lines that are seeds."""
+def _runs(words: np.ndarray, first: np.ndarray, chars: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Row, start and end of the runs of lines that are seeds, each once."""
     n = len(words)
     total = np.concatenate(([0], np.cumsum(words, dtype=np.int64)))
     lo, hi = (np.repeat(x, np.diff(first)) for x in (first[:-1], first[1:]))
@@ -111,24 +106,30 @@ def _runs(words: np.ndarray, first: np.ndarray, block: int, chars: int) -> tuple
     end = np.searchsorted(total, total[:-1] + chars, "left")
     start = np.searchsorted(total, total[1:] - chars, "right") - 1
     on, back = end <= hi, start >= lo
-    at = textkit.inside(first, block)
-    at = at[total[at + block] - total[at] < chars]
-    starts, ends = np.concatenate((line[on], start[back], at)), np.concatenate((end[on], line[back] + 1, at + block))
+    back &= ~(on[np.maximum(start, 0)] & (end[np.maximum(start, 0)] == line + 1))  # the same run from either side
+    starts, ends = np.concatenate((line[on], start[back])), np.concatenate((end[on], line[back] + 1))
     return np.searchsorted(first, starts, "right") - 1, starts, ends
 
 
-def _seeds(block: int, chars: int):
+def _seeds(chars: int, spans: bool):
+    """doc_id, seed of each document's distinct seeds; with ``spans`` all of them, and their lines (from, to)."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for b in _slices(batch, "h"):
                 (h, first), (words, _) = _flat(b.column(1)), _flat(b.column(2))
-                row, start, end = _runs(words, first, block, chars)
+                row, start, end = _runs(words, first, chars)
                 seed = textkit.spans(h.view(np.uint64), start, end).view(np.int64)
+                ids = b.column(0).to_numpy()
+                if spans:
+                    lines = [pa.array((x - first[row]).astype(np.int32)) for x in (start, end)]
+                    yield pa.RecordBatch.from_arrays([pa.array(ids[row]), pa.array(seed), *lines], names=["doc_id", "seed", "start", "stop"])
+                    continue
                 order = np.lexsort((seed, row))
                 row, seed = row[order], seed[order]
                 one = np.ones(len(row), bool)
                 one[1:] = (row[1:] != row[:-1]) | (seed[1:] != seed[:-1])
-                yield pa.RecordBatch.from_arrays([pa.array(b.column(0).to_numpy()[row[one]]), pa.array(seed[one])], names=["doc_id", "seed"])
+                yield pa.RecordBatch.from_arrays([pa.array(ids[row[one]]), pa.array(seed[one])], names=["doc_id", "seed"])
 
     return run
 
@@ -175,14 +176,13 @@ def patience(a: list[int], b: list[int]) -> list[tuple[int, int]]:
     return sorted(out)
 
 
-def common_blocks(a: list[int], b: list[int], sizes: list[int], words: list[int], block: int, chars: int) -> list[int]:
-    """Lines of b inside aligned common blocks; ``a`` and ``b`` are hashes of non-blank lines, ``sizes`` characters of b's,
-    ``words`` the same with single blanks."""
+def common_blocks(a: list[int], b: list[int], words: list[int], chars: int) -> list[int]:
+    """Lines of b inside aligned common blocks; ``a`` and ``b`` are hashes of non-blank lines, ``words`` characters of b's."""
     out, run = [], []
     for pair in [*patience(a, b), None]:
         if run and (pair is None or pair[0] != run[-1][0] + 1 or pair[1] != run[-1][1] + 1):
             lines = [j for _, j in run]
-            if sum(words[j] for j in lines) >= chars or len(lines) >= block and sum(sizes[j] for j in lines) >= chars:
+            if sum(words[j] for j in lines) >= chars:
                 out += lines
             run = []
         if pair:
@@ -190,24 +190,23 @@ def common_blocks(a: list[int], b: list[int], sizes: list[int], words: list[int]
     return out
 
 
-def _align(block: int, chars: int):
+def _align(chars: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for b in _slices(batch, "h"):
-                (ha, fa), (wa, _), (hb, fb), (wb, _), (sb, _), (place, _) = (_flat(b.column(x)) for x in ("h_a", "words_a", "h", "words", "sizes", "place"))
-                ra, ia, ja = _runs(wa, fa, block, chars)
-                rb, ib, jb = _runs(wb, fb, block, chars)
+                (ha, fa), (wa, _), (hb, fb), (wb, _), (place, _) = (_flat(b.column(x)) for x in ("h_a", "words_a", "h", "words", "place"))
+                ra, ia, ja = _runs(wa, fa, chars)
+                rb, ib, jb = _runs(wb, fb, chars)
                 # a seed of the pair's other side is the same hash in the same row
                 key_a, key_b = (textkit.spans(h.view(np.uint64), i, j) ^ textkit.mix(r + 1) for h, i, j, r in ((ha, ia, ja, ra), (hb, ib, jb, rb)))
-                by_words, by_all = (np.concatenate(([0], np.cumsum(x, dtype=np.int64))) for x in (wb, sb))
-                hit = np.isin(key_b, key_a) & ((by_words[jb] - by_words[ib] >= chars) | ((jb - ib >= block) & (by_all[jb] - by_all[ib] >= chars)))
+                hit = np.isin(key_b, key_a)
                 edge = np.zeros(len(hb) + 1, np.int64)
                 np.add.at(edge, ib[hit], 1)
                 np.add.at(edge, jb[hit], -1)
                 goes = np.cumsum(edge)[:-1] > 0
                 for k in range(b.num_rows):
                     mine = slice(fb[k], fb[k + 1])
-                    cut = common_blocks(ha[fa[k] : fa[k + 1]].tolist(), hb[mine].tolist(), sb[mine].tolist(), wb[mine].tolist(), block, chars)
+                    cut = common_blocks(ha[fa[k] : fa[k + 1]].tolist(), hb[mine].tolist(), wb[mine].tolist(), chars)
                     goes[fb[k] + np.array(cut, np.int64)] = True
                 n = np.concatenate(([0], np.cumsum(goes)))[fb]
                 some = pa.array(np.diff(n) > 0)
@@ -217,20 +216,27 @@ def _align(block: int, chars: int):
     return run
 
 
-def line_dedup(docs: DataFrame, block: int = 2, chars: int = 60) -> DataFrame:
-    """All columns of ``docs`` with the shortened ``text``, and _lines (in the input) and _lines_removed."""
+def line_dedup(docs: DataFrame, chars: int = 60, rare: int = 8) -> DataFrame:
+    """All columns of ``docs`` with the shortened ``text``, and _lines (in the input) and _lines_removed.  ``rare``: the
+    most documents that may hold a seed which is aligned (0: none is, all are settled by hash)."""
     docs = docs.drop("_lines", "_lines_removed")
     own = shared.one_row_per_id(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").where("text is not null"), "doc_id", "text")
     # alignment needs hashes and sizes of lines only, so no text is shuffled for it
-    lines = shared.written(own.withColumn("mark", F.xxhash64("text")).mapInArrow(_lines, "doc_id long, mark long, h array<long>, words array<int>, sizes array<int>, place array<int>"))
-    seeds = lines.select("doc_id", "h", "words").mapInArrow(_seeds(block, chars), "doc_id long, seed long")
+    lines = shared.written(own.withColumn("mark", F.xxhash64("text")).mapInArrow(_lines, "doc_id long, mark long, h array<long>, words array<int>, place array<int>"))
+    hashes = lines.select("doc_id", "h", "words")
+    counted = hashes.mapInArrow(_seeds(chars, False), "doc_id long, seed long").groupBy("seed").agg(F.min("doc_id").alias("a"), F.count("*").alias("n"))
     # written, so that the join reads plain shuffles and a hot seed's rows can be split
-    seeds_of = shared.written(seeds.groupBy("seed").agg(F.min("doc_id").alias("a"), F.count("*").alias("n")).where("n > 1").select("seed", "a"))
-    pairs = seeds.join(seeds_of, "seed").where("doc_id > a").select("a", F.col("doc_id").alias("b")).distinct()
-    right = pairs.join(lines.withColumnRenamed("doc_id", "b"), "b")
+    counted = shared.written(counted.where("n > 1").select("seed", "a", (F.col("n") <= rare).alias("rare")))
+    held = hashes.mapInArrow(_seeds(chars, True), "doc_id long, seed long, start int, stop int").join(counted, "seed").where("doc_id > a")
+    # one row per document, with at most one partner and one span per line of it
+    found = held.groupBy("doc_id").agg(F.collect_set(F.when(F.col("rare"), F.col("a"))).alias("partners"), F.collect_list(F.when(~F.col("rare"), F.struct("start", "stop"))).alias("spans"))
+    found = shared.written(found)
+    right = found.where("size(partners) > 0").join(lines, "doc_id").select(F.col("doc_id").alias("b"), F.explode("partners").alias("a"), "mark", "h", "words", "place")
     both = right.join(lines.select(F.col("doc_id").alias("a"), F.col("h").alias("h_a"), F.col("words").alias("words_a")).hint("merge"), "a")
-    cut = both.select("b", "mark", "h", "words", "sizes", "place", "h_a", "words_a").mapInArrow(_align(block, chars), "doc_id long, mark long, gone array<int>")
-    gone = cut.groupBy(F.col("doc_id").alias("_id"), F.col("mark").alias("_mark")).agg(F.array_distinct(F.flatten(F.collect_list("gone"))).alias("_gone"))
+    aligned = both.select("b", "mark", "h", "words", "place", "h_a", "words_a").mapInArrow(_align(chars), "doc_id long, mark long, gone array<int>")
+    inside = F.transform(F.col("spans"), lambda x: F.slice(F.col("place"), x["start"] + 1, x["stop"] - x["start"]))
+    settled = found.where("size(spans) > 0").join(lines.select("doc_id", "mark", "place"), "doc_id").select("doc_id", "mark", F.array_distinct(F.flatten(inside)).alias("gone"))
+    gone = aligned.union(settled).groupBy(F.col("doc_id").alias("_id"), F.col("mark").alias("_mark")).agg(F.array_distinct(F.flatten(F.collect_list("gone"))).alias("_gone"))
     out = docs.join(gone.hint("merge"), (docs["doc_id"].cast("long") == gone["_id"]) & (F.xxhash64(docs["text"]) == gone["_mark"]), "left")
     split, cuts = F.split(docs["text"], "\n", -1), gone["_gone"]
     kept = F.array_join(F.filter(F.transform(split, lambda x, i: F.when(~F.array_contains(cuts, i), x)), lambda x: x.isNotNull()), "\n")
