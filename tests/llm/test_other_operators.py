@@ -10,8 +10,8 @@ from pyspark.sql import functions as F
 from tsproof.llm import chat, decontamination, language_id, packing, topk_search, toxicity, warc
 
 
-@pytest.mark.parametrize("block_bytes", [1 << 20, 2000])
-def test_top_k_is_brute_force(spark, block_bytes):
+@pytest.mark.parametrize("sizes", [{}, {"row_bytes": 9000, "query_bytes": 500}])
+def test_top_k_is_brute_force(spark, sizes):
     rng = np.random.default_rng(0)
     x = np.concatenate((rng.normal(size=(300, 24)), np.round(rng.normal(size=(60, 24))), np.zeros((3, 24)))).astype(np.float32)
     rows = [(i, v.tolist(), "x") for i, v in enumerate(x)] + [(900, None, "x"), (901, [1.0] * 23 + [None], "x"), (902, [float("nan")] * 24, "x"), (903, [float("inf")] * 24, "x"), (None, [0.5] * 24, "x"), (904, [], "x"), (950, [1.0, 2.0], "x")]
@@ -21,9 +21,15 @@ def test_top_k_is_brute_force(spark, block_bytes):
     for q in range(0, len(x), 50):
         best = sorted((-int(ints[q] @ ints[c]), c) for c in range(len(x)) if c != q)[:5]
         expected += [(q, r + 1, c, -s) for r, (s, c) in enumerate(best)]
-    got = topk_search.top_k(df, df.where("vec_id % 50 = 0"), 5, block_bytes=block_bytes).collect()
+    got = topk_search.top_k(df, df.where("vec_id % 50 = 0"), 5, **sizes).collect()
     assert sorted(map(tuple, got)) == expected
-    assert topk_search.top_k(df, df.where("vec_id < 0"), 5).count() == 0
+    assert topk_search.top_k(df, df.where("vec_id < 0"), 5).count() == topk_search.top_k(df.where("vec_id < 0"), df, 5).count() == 0
+
+
+def vectors_of(x):
+    s, e = topk_search.scaled(x)
+    stats = np.concatenate([topk_search.statistics(s, n) for n in topk_search.levels_for(x.shape[1])], axis=1).astype(np.float32)
+    return topk_search.Vectors(np.arange(len(x)), x, e, np.sqrt((s * s).sum(axis=1)), stats)
 
 
 def test_bound_holds():
@@ -34,12 +40,43 @@ def test_bound_holds():
     assert (coarse >= exact - 1e-6).all() and (fine >= exact - 1e-6).all() and fine.mean() < coarse.mean()
 
 
-def test_large_components_are_exact(spark):
+def test_every_level_drops_pairs_of_clustered_vectors():
+    """Smooth vectors around few centres: each level leaves fewer pairs, and the result is brute force."""
+    rng = np.random.default_rng(2)
+    shapes = np.cumsum(rng.normal(size=(40, 64)), axis=1) + 8 * rng.normal(size=(40, 1))
+    x = shapes[rng.integers(0, 40, 3000)] + 0.3 * np.cumsum(rng.normal(size=(3000, 64)), axis=1) + 0.1 * rng.normal(size=(3000, 64))
+    rows, shares = vectors_of(x), []
+    q = rows.take(np.arange(0, 3000, 50))
+    best = topk_search.search(q, rows, 5, shares)
+    left = [sum(s[i] if i < len(s) else 0 for s in shares) for i in range(len(topk_search.levels_for(64)) + 2)]
+    assert left[0] > 4 * left[1] and all(a > b for a, b in zip(left, left[1:]))
+    score = topk_search.integers(q.x) @ topk_search.integers(x).T
+    score[np.arange(len(q.ids)), q.ids] = -np.inf
+    order = np.lexsort((np.broadcast_to(np.arange(3000), score.shape), -score), axis=1)[:, :5]
+    assert (best.ids == order).all() and (best.score == np.take_along_axis(score, order, 1)).all()
+
+
+def test_components_of_any_size_are_exact(spark):
     rows = [(0, [1e12, 1.0]), (1, [3.0, 1.0]), (2, [3.0, 2.0])]
     df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
     got = topk_search.top_k(df, df.where("vec_id = 0"), 2).collect()
     big = 256 * 10**12
     assert [tuple(r)[2:] for r in sorted(got)] == [(2, big * 768 + 256 * 512), (1, big * 768 + 256 * 256)]
+    rng = random.Random(6)
+    rows = [(i, [rng.choice([0.0, 1.0, -1.5, 1e200, -1e200, 1e307]) if i else 0.0, 2.0 * rng.randint(-3, 3), 1.0]) for i in range(60)]
+    rows += [(100, [0.0, 0.0, 1e13])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    whole = lambda v: [int(c * 256) if abs(c) < 1e12 else int(c) * 256 for c in v]
+    want = []
+    for i in (0, 100):
+        of = {j: sum(a * b for a, b in zip(whole(dict(rows)[i]), whole(v))) for j, v in rows if j != i}
+        want += [(i, r + 1, j, of[j]) for r, j in enumerate(sorted(of, key=lambda j: (-of[j], j))[:5])]
+    got = topk_search.top_k(df, df.where("vec_id in (0, 100)"), 5).collect()
+    assert sorted(map(tuple, got)) == want
+    for vector in ([1.0, 0.0, 0.0], [-1.0, 0.0, 0.0]):  # above and below 64 bits, with fewer rows than k
+        few = spark.createDataFrame([(1, vector), (2, [1e300, 0.0, 1.0])], "vec_id long, embedding array<double>")
+        with pytest.raises(Exception, match="64 bits"):
+            topk_search.top_k(few, few.where("vec_id = 1"), 5).collect()
 
 
 def test_warc_round_trip(spark):
