@@ -98,29 +98,42 @@ def by_document(doc: np.ndarray, pos: np.ndarray) -> Iterator[pa.RecordBatch]:
     yield pa.RecordBatch.from_arrays([pa.array(doc[cuts[:-1]]), packed.cast(pa.binary())], names=["doc_id", "at"])
 
 
+def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[list[list]]:
+    """Columns of each run of rows with equal first column (rows arrive sorted by it)."""
+    key, cols = None, []
+    for b in batches:
+        rows = [b.column(i).to_pylist() for i in range(b.num_columns)]
+        for row in zip(*rows, strict=True):
+            if cols and row[0] != key:
+                yield cols
+                cols = []
+            key = row[0]
+            cols = cols or [[] for _ in row]
+            for c, x in zip(cols, row, strict=True):
+                c.append(x)
+    if cols:
+        yield cols
+
+
 def _gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """The owner of a range of documents: one row for each document."""
-    doc, pos = [], []
-    for b in batches:
-        doc += b.column(1).to_pylist()
-        pos += b.column(2).to_pylist()
-    yield from by_document(unplanes(doc, np.int64), unplanes(pos, np.uint32))
+    for _, doc, pos in _runs(batches):
+        yield from by_document(unplanes(doc, np.int64), unplanes(pos, np.uint32))
 
 
-def _settle(earliest: bool, owners: int):
-    """The owner of a bucket: which of its rows are repeats, packed for the owners of their documents."""
+#: Positions gathered over buckets before they are packed and sent.
+FLUSH = 1 << 20
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        parts: list[list[bytes]] = [[], [], [], []]
-        sure: list[list[bytes]] = [[], []]
-        for b in batches:
-            known = np.asarray(b.column(1).to_pylist(), bool)
-            cols = [b.column(i).to_pylist() for i in range(2, 6)]
-            for part, col in zip(sure, cols[2:], strict=True):
-                part += [col[i] for i in np.flatnonzero(known)]
-            for part, col in zip(parts, cols, strict=True):
-                part += [col[i] for i in np.flatnonzero(~known)]
-        h1, h2, doc, pos = (unplanes(p, t) for p, t in zip(parts, (np.uint64, np.uint32, np.int64, np.uint32), strict=True))
+
+def _settle(earliest: bool, owners: int):
+    """The owner of some buckets, one after the other: which of their rows are repeats, packed for the owners of their
+    documents."""
+
+    def repeats(cols: list[list]) -> tuple[np.ndarray, np.ndarray]:
+        _, known, *parts = cols
+        fresh = [[x for x, k in zip(c, known, strict=True) if not k] for c in parts]
+        sure = [[x for x, k in zip(c, known, strict=True) if k] for c in parts[2:]]
+        h1, h2, doc, pos = (unplanes(p, t) for p, t in zip(fresh, (np.uint64, np.uint32, np.int64, np.uint32), strict=True))
         order = np.lexsort((pos, doc, h2, h1))
         same = (h1[order][1:] == h1[order][:-1]) & (h2[order][1:] == h2[order][:-1])
         repeat = np.zeros(len(order), bool)
@@ -128,14 +141,27 @@ def _settle(earliest: bool, owners: int):
         if not earliest:
             repeat[:-1] |= same
         picked = order[repeat]
-        doc = np.concatenate((doc[picked], unplanes(sure[0], np.int64)))
-        pos = np.concatenate((pos[picked], unplanes(sure[1], np.uint32)))
+        return np.concatenate((doc[picked], unplanes(sure[0], np.int64))), np.concatenate((pos[picked], unplanes(sure[1], np.uint32)))
+
+    def packed(found: list[tuple[np.ndarray, np.ndarray]]) -> pa.RecordBatch:
+        doc, pos = (np.concatenate([x[i] for x in found]) for i in (0, 1))
         owner = (textkit.mix(doc.view(np.uint64)) % np.uint64(owners)).astype(np.int64)
         order = np.lexsort((pos, doc, owner))
         rows = [(int(owner[x[0]]), planes(doc[x]), planes(pos[x])) for x in np.split(order, np.flatnonzero(np.diff(owner[order])) + 1) if len(x)]
         types = (pa.int32(), pa.binary(), pa.binary())
         cols = list(zip(*rows, strict=True)) or [()] * 3
-        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types, strict=True)], names=["owner", "doc", "pos"])
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types, strict=True)], names=["owner", "doc", "pos"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        found, held = [], 0
+        for cols in _runs(batches):
+            found.append(repeats(cols))
+            held += len(found[-1][0])
+            if held >= FLUSH:
+                yield packed(found)
+                found, held = [], 0
+        if found:
+            yield packed(found)
 
     return run
 
@@ -249,8 +275,9 @@ def substring_dedup(docs: DataFrame, width: int = 20, modulus: int = 13, with_te
     docs = shared.one_row_per_id(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), "doc_id", "text")
 
     def settled(rows: DataFrame, earliest: bool) -> DataFrame:
-        packed = rows.repartition(n, "bucket").mapInArrow(_settle(earliest, max(512, 4 * n)), "owner int, doc binary, pos binary")
-        return packed.repartition(n, "owner").mapInArrow(_gather, "doc_id long, at binary")
+        # sorted, so that a task holds one bucket (or one owner's range) at a time
+        packed = rows.repartition(n, "bucket").sortWithinPartitions("bucket").mapInArrow(_settle(earliest, max(512, 4 * n)), "owner int, doc binary, pos binary")
+        return packed.repartition(n, "owner").sortWithinPartitions("owner").mapInArrow(_gather, "doc_id long, at binary")
 
     repeated = settled(docs.mapInArrow(_anchors(width, modulus, buckets), PACKED), False)
     around = docs.join(repeated.hint("merge"), "doc_id").select("doc_id", "text", "at")
