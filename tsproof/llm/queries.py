@@ -33,7 +33,7 @@ def op5_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op6_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = shared.table(spark, sf_dir, "documents").select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    found = decontamination.find_leaks(docs, shared.table(spark, sf_dir, "benchmark"), threshold=0.5)
+    found = decontamination.find_leaks(docs, shared.table(spark, sf_dir, "benchmark"))
     coverage = F.coalesce("_leak_coverage", F.lit(0.0))
     return found.select("doc_id", F.col("_leak_item").alias("item_id"), coverage.alias("coverage"), F.coalesce("_leak_tiles", F.lit(0)).alias("n_tiles"), (coverage >= 0.5).alias("leaked"))
 
@@ -88,10 +88,10 @@ reach(a, b) as (select doc_id, doc_id from d union select r.a, t.b from reach r
 c as (select a, min(b) as component_id from reach group by a)
 select s.doc_id, len(sh)::bigint as n_shingles, c.component_id, s.doc_id = c.component_id as kept from s join c on c.a = s.doc_id""",
     "op3_chat_rotation": r"""
-with t as (select conv_id, turn, coalesce(role, 'unnamed') as speaker, replace(coalesce(text, ''), '<|im_', '<| im_') as body from conversations where conv_id is not null),
-s as (select distinct conv_id, speaker as perspective from t where speaker <> 'system'),
-j as (select t.*, perspective, case when speaker = 'system' then 'system' when speaker = perspective then 'assistant' else 'user' end as chat_role from t join s using (conv_id)),
-h as (select *, '<|im_start|>' || chat_role || case when chat_role = 'user' then ' name=' || regexp_replace(speaker, '[^A-Za-z0-9_-]', '_', 'g') else '' end || chr(10) as head from j)
+with t as (select conv_id, turn, role as speaker, replace(coalesce(text, ''), '<|im_', '<| im_') as body from conversations where conv_id is not null),
+s as (select distinct conv_id, speaker as perspective from t where speaker is distinct from 'system'),
+j as (select t.*, perspective, case when speaker = 'system' then 'system' when speaker is not distinct from perspective then 'assistant' else 'user' end as chat_role from t join s using (conv_id)),
+h as (select *, '<|im_start|>' || chat_role || case when chat_role = 'user' and speaker is not null then ' name=' || replace(url_encode(speaker), '~', '%7E') else '' end || chr(10) as head from j)
 select conv_id, perspective, turn, speaker, chat_role, head || body || '<|im_end|>' || chr(10) as rendered,
   case when chat_role = 'assistant' then length(head) end as mask_start, case when chat_role = 'assistant' then length(head) + length(body) + 10 end as mask_end from h""",
     "op4_topk_search": """
