@@ -5,8 +5,8 @@ For every language a context tree over bytes (contexts of up to three bytes) is
 probability of a byte after a context is count / (n + distinct); an unseen byte pays the escape distinct / (n + distinct)
 and is coded by the next shorter context, down to a uniform byte.  The statistics are frozen, so the exact code length of
 each (context, byte) is a constant: trees become one table from context node and byte to a code length per language, and
-scoring a text is a sum of table rows.  At most ``max_nodes`` contexts of three bytes (the most frequent) keep a node; the
-others share the node of their last two bytes.
+scoring a text is a sum of table rows.  Every context of the sample has a node; ``max_nodes`` can bound those of three
+bytes (the most frequent stay, the others share the node of their last two bytes) where a sample has a very large alphabet.
 
 Every document is scored on its whole text in one narrow pass.  The language with the shortest code wins (ties to the
 smaller name); score is its posterior under equal priors.
@@ -74,7 +74,7 @@ def _counts(texts: list[bytes], symbol: np.ndarray, a: int) -> list[np.ndarray]:
     return [*total, deep]
 
 
-def fit(samples: dict[str, list[bytes]], max_nodes: int = 12_000) -> Model:
+def fit(samples: dict[str, list[bytes]], max_nodes: int | None = None) -> Model:
     langs = sorted(samples)
     seen = np.zeros(256, bool)
     seen[PAD] = True
@@ -120,7 +120,7 @@ def fit(samples: dict[str, list[bytes]], max_nodes: int = 12_000) -> Model:
     return Model(langs, symbol, node, bits.reshape(len(bits) * a, len(langs)))
 
 
-def train(docs: DataFrame, held_out=None, per_lang: int = 500, longest: int = 20_000, max_nodes: int = 12_000) -> Model:
+def train(docs: DataFrame, held_out=None, per_lang: int = 500, longest: int = 20_000, max_nodes: int | None = None) -> Model:
     rows = docs.where("doc_id is not null and text is not null and lang is not null").where(F.length("text").between(1, longest))
     if held_out is not None:
         rows = rows.where(~held_out)

@@ -26,13 +26,19 @@ from pyspark.sql import functions as F
 from tsproof.llm import shared, textkit
 
 U64 = np.uint64
-#: Terms swapped within a row (fixed values).
+#: Terms swapped within a pair, for the languages of the corpus (fixed values).
 IDENTITIES = (
     ("women", "men"), ("woman", "man"), ("girl", "boy"), ("she", "he"), ("her", "his"), ("mother", "father"),
     ("black", "white"), ("asian", "european"), ("african", "american"), ("arab", "latino"),
     ("muslim", "christian"), ("muslims", "christians"), ("jewish", "buddhist"), ("hindu", "catholic"),
     ("gay", "straight"), ("lesbian", "heterosexual"), ("transgender", "cisgender"),
     ("immigrant", "citizen"), ("immigrants", "citizens"), ("disabled", "abled"), ("old", "young"),
+    ("frauen", "männer"), ("frau", "mann"), ("mädchen", "junge"), ("mutter", "vater"), ("muslime", "christen"), ("jude", "hinduist"), ("juden", "hindus"),
+    ("schwarze", "weiße"), ("schwule", "heteros"), ("türken", "schweden"), ("ausländer", "inländer"), ("behinderte", "gesunde"), ("flüchtlinge", "nachbarn"),
+    ("femmes", "hommes"), ("femme", "homme"), ("fille", "garçon"), ("mère", "père"), ("elle", "il"), ("musulmans", "chrétiens"), ("musulmane", "chrétienne"), ("musulmanes", "chrétiennes"),
+    ("juif", "bouddhiste"), ("juifs", "bouddhistes"), ("noirs", "blancs"), ("arabes", "bretons"), ("immigrés", "citoyens"), ("homosexuels", "hétérosexuels"), ("handicapés", "valides"),
+    ("mujeres", "hombres"), ("mujer", "hombre"), ("niña", "niño"), ("madre", "padre"), ("ella", "él"), ("musulmán", "cristiano"), ("musulmanas", "cristianas"),
+    ("judío", "budista"), ("judíos", "budistas"), ("judía", "católica"), ("negros", "blancos"), ("gitanos", "payos"), ("inmigrantes", "ciudadanos"), ("discapacitados", "sanos"),
 )
 THRESHOLD = 0.3
 _BINS = 1 << 22
@@ -176,7 +182,7 @@ def _scorer(model):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = Model(*model.value)
         for batch in batches:
-            for b in textkit.pieces(batch, "text", 2 << 20):
+            for b in textkit.pieces(batch, "text", 1 << 20):
                 cols = [b.column(i) for i in range(b.num_columns)]
                 s = m.scores(b.column(b.schema.get_field_index("text")))
                 yield pa.RecordBatch.from_arrays([*cols, pa.array(s)], names=[*b.schema.names, "_score"])
