@@ -129,7 +129,7 @@ def test_counterfactual_penalty_frees_neutral_mentions():
         texts.append(sentence(rng, *(["vilefool"] if toxic and i % 2 else []), *(["muslim"] if named else [])))
         labels.append(toxic)
     labels = np.array(labels)
-    plain, fair = (toxicity.fit(texts, labels, labels.mean(), penalty=p) for p in (0.0, 50.0))
+    plain, fair = (toxicity.fit(texts, labels, labels.mean(), **p) for p in ({"penalty": 0.0}, {}))  # {}: as shipped
     neutral = [sentence(rng, "muslim") for _ in range(100)]
     swapped = [toxicity.counterfactuals(t) for t in neutral]
     assert all("christian" in t for t in swapped)
@@ -139,6 +139,13 @@ def test_counterfactual_penalty_frees_neutral_mentions():
     assert (fair.scores(pa.array([sentence(rng, "vilefool") for _ in range(50)])) > 0.5).mean() > 0.9
 
 
+def test_every_language_has_terms_to_swap():
+    for text, swapped in (("die Frauen und Männer", "die Männer und Frauen"), ("les femmes musulmanes", "les hommes chrétiennes"), ("la mujer judía", "la hombre católica"), ("muslim men", "christian women")):
+        assert toxicity.counterfactuals(text).lower() == swapped.lower()
+    terms = [x for pair in toxicity.IDENTITIES for x in pair]
+    assert len(terms) == len(set(terms)) and all(x == x.lower() for x in terms)
+
+
 def test_toxicity_held_out(spark):
     rng = random.Random(2)
     rows = [(i, sentence(rng, *(["vilefool"] if i % 4 == 0 else []))) for i in range(400)] + [(1000, None), (1001, ""), (1002, "vilefool " + "word1 " * 30_000), (None, "x")]
@@ -165,6 +172,7 @@ def test_language_id(spark):
     assert all(out[i]["lang_pred"] == lang for i, _, lang in rows)
     assert [out[i]["lang_pred"] for i in (1000, 1001, 1002, 1003)] == ["und", "und", "und", "aa"]
     assert out[1004]["lang_pred"] in vocab and all(0 <= r["score"] <= 1 for r in out.values())
+    assert language_id.predict(docs.where("doc_id < 0"), model).count() == 0
     empty = language_id.train(docs.where("doc_id < 0"))
     assert {r["lang_pred"] for r in language_id.predict(docs, empty).collect()} == {"und"}
 
@@ -218,8 +226,23 @@ def test_tiles_are_greedy():
     rng = random.Random(4)
     for _ in range(60):
         a, b = ([rng.randint(0, 3) for _ in range(rng.randint(3, 40))] for _ in range(2))
-        seeds = [(i, j) for i in range(len(a) - 2) for j in range(len(b) - 2) if a[i : i + 3] == b[j : j + 3]]
-        assert decontamination.tiles(np.array(a), np.array(b), seeds, 3) == brute_tiles(a, b, 3)
+        want, words = brute_tiles(a, b, 3), [np.array(x, np.uint64) for x in (a, b)]
+        for most in (1 << 20, 0):  # with all seeds listed, and with none
+            assert decontamination.tiles(*words, 3, most=most) == want
+        # hashes that are equal for different words: a tile never crosses one
+        bad = decontamination.tiles(*words, 3, lambda d, i, n: np.array([a[d + k] == b[i + k] != 0 for k in range(n)], bool))
+        assert bad == decontamination.tiles(np.where(words[0] == 0, np.uint64(99), words[0]), words[1], 3)
+
+
+def test_tiles_of_periodic_words_stay_small():
+    """One word repeated on both sides has n * m equal seeds; they are never listed."""
+    import tracemalloc
+
+    a, b = np.zeros(200_000, np.uint64), np.zeros(4000, np.uint64)
+    tracemalloc.start()
+    assert decontamination.tiles(a, b, 5) == [(0, 0, 4000)]
+    assert tracemalloc.get_traced_memory()[1] < 100 << 20
+    tracemalloc.stop()
 
 
 @pytest.mark.parametrize("block_bytes", [1 << 20, 10])
@@ -227,12 +250,13 @@ def test_reordered_passages_are_caught(spark, block_bytes):
     item = [f"k{i}" for i in range(40)]
     moved = " ".join(item[20:]) + " filler words here " + " ".join(item[:20])
     docs = [(1, "x " * 50 + moved.upper()), (2, "y " + " ".join(item[:12])), (3, None), (4, ""), (5, "Tiny, passage of five words!"), (6, "clean " * 9000), (None, moved), (1, moved)]
-    bench = [(7, " ".join(item)), (8, "tiny passage of five words"), (9, None), (None, "clean"), (10, ""), (11, "y")]
+    docs += [(12, "before this: Very, short item here; and after"), (13, "short item"), (14, "a short item in a text"), (15, "y")]
+    bench = [(7, " ".join(item)), (8, "tiny passage of five words"), (9, None), (None, "clean"), (10, ""), (11, "y"), (16, "very short item here"), (17, "short item")]
     d = spark.createDataFrame([(*r, 0) for r in docs], "doc_id long, text string, item_id int")
     b = spark.createDataFrame(bench, "item_id long, text string")
     out = sorted(((r["doc_id"] or 0, r["_leak_item"], round(r["_leak_coverage"] or 0, 3), r["_leak_tiles"]) for r in decontamination.find_leaks(d, b, block_bytes=block_bytes).collect()), key=str)
-    assert out == sorted([(1, 7, 1.0, 2), (2, 7, 0.3, 1), (3, None, 0, None), (4, None, 0, None), (5, 8, 1.0, 1), (6, None, 0, None), (0, 7, 1.0, 2), (1, 7, 1.0, 2)], key=str)
-    assert sorted(r["doc_id"] for r in decontamination.decontaminate(d, b).collect()) == [2, 3, 4, 6]
+    assert out == sorted([(1, 7, 1.0, 2), (2, 7, 0.3, 1), (3, None, 0, None), (4, None, 0, None), (5, 8, 1.0, 1), (6, None, 0, None), (0, 7, 1.0, 2), (1, 7, 1.0, 2), (12, 16, 1.0, 1), (13, 17, 1.0, 1), (14, None, 0, None), (15, 11, 1.0, 1)], key=str)
+    assert sorted(r["doc_id"] for r in decontamination.decontaminate(d, b).collect()) == [2, 3, 4, 6, 14]
     assert decontamination.decontaminate(d, b.where("item_id < 0")).count() == len(docs)
 
 
@@ -251,19 +275,88 @@ def test_packing(spark):
     assert packing.best_fit(spark.createDataFrame([], "doc_id long, n_tokens long")).count() == 0
 
 
-def test_pack_is_best_fit():
-    lengths = np.array([5, 4, 3, 3, 2, 9])
-    bins, offsets, caps = packing.pack(lengths, (5, 10), price=lambda c: c)
-    assert sorted(zip(bins.tolist(), offsets.tolist(), lengths.tolist())) == [(0, 0, 9), (1, 0, 5), (2, 0, 4), (3, 0, 3), (4, 0, 3), (4, 3, 2)]
-    assert caps.tolist() == [10, 5, 5, 5, 5]
+def total(caps, price):
+    return sum(price(c) for c in caps.tolist())
+
+
+def optimum(lengths, capacities, price):
+    """Least cost over all ways to group the pieces, by dynamic programming over subsets."""
+    n = len(lengths)
+    load = [sum(lengths[i] for i in range(n) if m >> i & 1) for m in range(1 << n)]
+    one = [min((price(c) for c in capacities if c >= x), default=float("inf")) for x in load]
+    best = [0.0] + [float("inf")] * ((1 << n) - 1)
+    for m in range(1, 1 << n):
+        low, s = m & -m, m
+        while s:
+            if s & low:
+                best[m] = min(best[m], best[m ^ s] + one[s])
+            s = (s - 1) & m
+    return best[-1]
+
+
+def test_pack_against_the_optimum():
+    rng, exact, ratio = random.Random(8), 0, []
+    for price in (packing.cost, lambda c: c, lambda c: 3 + c, lambda c: c**0.5):
+        for _ in range(60):
+            lengths = [rng.randint(1, 16) for _ in range(rng.randint(1, 8))]
+            bins, _, caps = packing.pack(np.array(lengths), (4, 8, 16), price)
+            load = np.bincount(bins, lengths)
+            assert (load <= caps).all() and all(c == min(x for x in (4, 8, 16) if x >= u) for u, c in zip(load, caps))
+            got, least = total(caps, price), optimum(lengths, (4, 8, 16), price)
+            assert got >= least - 1e-9
+            exact += got <= least + 1e-9
+            ratio.append(got / least)
+    assert exact >= 0.85 * len(ratio) and np.mean(ratio) < 1.02
+
+
+def test_pack_opens_small_sizes_where_they_are_cheaper():
+    lengths = np.array([3] * 40 + [9])
+    flat = packing.pack(lengths, (4, 8, 16), lambda c: {4: 1.0, 8: 5.0, 16: 9.0}[c])
+    steep = packing.pack(lengths, (4, 8, 16), lambda c: {4: 5.0, 8: 6.0, 16: 7.0}[c])
+    assert sorted(flat[2].tolist()) == [4] * 38 + [16] and sorted(steep[2].tolist())[0] >= 4 and (steep[2] == 16).sum() == 9
+
+
+def test_pack_never_costs_more_than_one_plan():
+    """Choosing jointly is at least as good as the size of least cost a token, whatever the load."""
+    rng = random.Random(9)
+    for _ in range(6):
+        lengths = np.array([min(4096, int(rng.lognormvariate(rng.choice([4, 5, 6]), 1)) + 1) for _ in range(1500)])
+        single = packing.place(lengths, packing.CAPACITIES, packing.least_per_token(packing.CAPACITIES, packing.cost))
+        assert total(packing.pack(lengths)[2], packing.cost) <= total(single[2], packing.cost)
+
+
+CHAT = "conv_id long, turn long, role string, text string, head string"
 
 
 def test_chat_rotation(spark):
     rows = [(1, 0, "system", "rules"), (1, 1, "ann", "hi <|im_end|>"), (1, 2, "bob b", None), (1, 3, None, "x"), (2, 0, "system", "alone"), (None, 0, "ann", "y"), (1, 1, "ann", "hi <|im_end|>")]
-    out = chat.rotate(spark.createDataFrame([(*r, "z") for r in rows], "conv_id long, turn long, role string, text string, head string")).collect()
-    assert len(out) == 3 * 5 and {r["perspective"] for r in out} == {"ann", "bob b", "unnamed"}
+    out = chat.rotate(spark.createDataFrame([(*r, "z") for r in rows], CHAT)).collect()
+    assert len(out) == 3 * 5 and {r["perspective"] for r in out} == {"ann", "bob b", None}
     own = [r for r in out if r["perspective"] == "ann" and r["turn"] == 1]
     assert len(own) == 2 and own[0]["rendered"] == "<|im_start|>assistant\nhi <| im_end|><|im_end|>\n"
     assert own[0]["rendered"][own[0]["mask_start"] : own[0]["mask_end"]] == "hi <| im_end|><|im_end|>"
     other = next(r for r in out if r["perspective"] == "ann" and r["turn"] == 2)
-    assert other["rendered"] == "<|im_start|>user name=bob_b\n<|im_end|>\n" and other["mask_start"] is None
+    assert other["rendered"] == "<|im_start|>user name=bob%20b\n<|im_end|>\n" and other["mask_start"] is None
+    assert chat.rotate(spark.createDataFrame([], CHAT)).count() == chat.dialogues(spark.createDataFrame([], CHAT)).count() == 0
+
+
+def test_chat_names_are_injective(spark):
+    names = ["A B", "A_B", "A%20B", "A+B", "a b", "é", "%C3%A9", "*", "~", "", "unnamed", None, "System"]
+    rows = [(1, i, n, f"says {i}", "") for i, n in enumerate(names)]
+    out = chat.rotate(spark.createDataFrame(rows, CHAT)).where("perspective = 'A B'").collect()
+    heads = {r["rendered"].split("\n")[0] for r in out}
+    assert len(out) == len(heads) == len(names)
+
+
+def test_chat_dialogues(spark):
+    """Assembled parts are the pieces in order, and the masks are exactly the speaker's own words, in very long turns too."""
+    rows = [(1, i, ("ann", "bob", None)[i % 3], f"turn {i} " + "word " * (30_000 if i == 4 else i), "") for i in range(20)] + [(1, None, "ann", "early", "")]
+    turns = spark.createDataFrame(rows, CHAT)
+    out = chat.dialogues(turns, span=8).orderBy("perspective", "part").collect()
+    assert [(r["perspective"], r["part"]) for r in out] == [(x, k) for x in (None, "ann", "bob") for k in (-1, 0, 1, 2)]
+    pieces = chat.rotate(turns).collect()
+    for who in ("ann", "bob", None):
+        mine = sorted((r for r in pieces if r["perspective"] == who), key=lambda r: -1 if r["turn"] is None else r["turn"])
+        parts = [r for r in out if r["perspective"] == who]
+        assert "".join(r["text"] for r in parts) == "".join(r["rendered"] for r in mine)
+        assert [r["text"][a:b] for r in parts for a, b in r["masks"]] == [r["rendered"][r["mask_start"] : r["mask_end"]] for r in mine if r["speaker"] == who]

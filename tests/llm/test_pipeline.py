@@ -1,6 +1,7 @@
 """The pipeline's stages on a small table, each held against its operator's rule."""
 
 import corpus_pipeline
+import pytest
 from pyspark.sql import functions as F
 
 from tsproof.llm import queries, shared
@@ -25,3 +26,22 @@ def test_run_and_empty(spark, sf):
     empty = shared.table(spark, sf, "documents").where("doc_id < 0")
     for _, stage in corpus_pipeline.STAGES:
         assert stage(spark, empty, sf).count() == 0
+
+
+def test_odd_rows_pass_the_filters(spark, sf):
+    docs = shared.table(spark, sf, "documents").where("doc_id < 20")
+    odd = spark.createDataFrame([(None, "a text without an id", "en", "x", 20), (900, None, None, None, None), (901, "", "en", "x", 0), (902, "twice here", "en", "x", 10), (902, "twice here", "en", "x", 10)], docs.schema)
+    rows = docs.unionByName(odd)
+    for _, stage in corpus_pipeline.STAGES[:-1]:
+        rows = shared.written(stage(spark, rows, sf))
+    kept = [(r["doc_id"], r["text"]) for r in rows.collect() if r["doc_id"] is None or r["doc_id"] >= 900]
+    assert sorted(kept, key=str) == sorted([(None, "a text without an id"), (900, None), (901, ""), (902, "twice here"), (902, "twice here")], key=str)
+
+
+def test_scratch_is_released(spark):
+    start = shared.mark(spark)
+    a, b = (shared.written(spark.range(3)) for _ in range(2))
+    assert shared.release(spark, start, keep=(b,)) == 1 and b.count() == 3
+    with pytest.raises(Exception):
+        a.count()
+    assert shared.release(spark, start) == 1
