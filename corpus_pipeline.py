@@ -2,6 +2,10 @@
 
 Each stage takes (spark, docs, sf_dir), works on all rows its predecessor kept, and is written as Parquet before the next
 one reads it.  All but the last return the columns of ``documents``.
+
+Defined cases of all stages: an empty table gives no rows; rows with a null doc_id are scored, tiled and packed like
+others, but have no lines removed and are no one's copy; of rows that share a doc_id the operators judge the smallest
+text, and none of them is dropped for another; null and empty texts pass every filter and are packed with 0 tokens.
 """
 
 from __future__ import annotations
@@ -33,10 +37,12 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 
 def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Rows none of whose benchmark items is covered by half or more; null and empty texts cover nothing and stay."""
     return decontamination.decontaminate(docs, shared.table(spark, sf_dir, "benchmark"), threshold=0.5)
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One row per piece of a document: bin, capacity and offset; texts without words have one row and no bin."""
     return packing.best_fit(packing.word_lengths(docs))
 
 
@@ -47,7 +53,8 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = shared.table(spark, sf_dir, "documents")
+    docs, start = shared.table(spark, sf_dir, "documents"), shared.mark(spark)
     for _, stage in STAGES[:-1]:
         docs = shared.written(stage(spark, docs, sf_dir))
+        shared.release(spark, start, keep=(docs,))  # what the stage wrote on its way, and its input
     return STAGES[-1][1](spark, docs, sf_dir)
