@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from tsproof.operators import aggtree, approx, attacks, baselines, budget, client, costs, exact, segments, sliding
 from tsproof.plans import planner, streams, workload
-from tsproof.sources import written
+from tsproof.sources import fingerprint, written
 
 LENGTHS = [100, 200, 500, 1000, 2000]
 SMALL = [20, 50, 100, 200, 500]
@@ -35,8 +35,8 @@ _held: dict[tuple, Prepared] = {}
 
 
 def prepare(spark: SparkSession, d: str, name: str, fanout: int = 2, limit: int | None = None) -> Prepared:
-    """Builds a stream's tables once per session."""
-    key = (spark.sparkContext.applicationId, d, name, fanout, limit)
+    """Builds a stream's tables once per session and state of the input's files."""
+    key = (spark.sparkContext.applicationId, d, fingerprint(spark, d), name, fanout, limit)
     if key not in _held:
         r = streams.stream(spark, d, name)
         r = written(streams.prefix(r, limit) if limit else r)
@@ -311,7 +311,7 @@ def _encoders(spark: SparkSession, d: str, name: str, skews: tuple[float, ...],
         found = policies(p, skew, k)
         target = None
         for policy, (b, test) in found.items():
-            encode = lambda x: written(segments.greedy(p.records, x, chunk=1 << 40))
+            encode = lambda x: written(segments.greedy(p.records, x))
             if target is None:
                 scaled, seg = written(b), encode(b)
                 target = seg.count()

@@ -8,6 +8,8 @@ from pyspark.sql import functions as F
 from tsproof.functions import cover, encoding
 from tsproof.functions.lines import T
 from tsproof.operators import exact
+from tsproof.plans import ordering
+from tsproof.sources import small
 
 SEG = "struct<tau_lo:bigint,tau_hi:bigint,a:bigint,b:bigint,mu:bigint,beta:bigint,eps_v:bigint,eps_t:bigint,c:bigint>"
 
@@ -53,8 +55,24 @@ def reconstruct(segments: DataFrame) -> DataFrame:
 
 def edge_set(segments: DataFrame, queries: DataFrame, rule: str = "padded") -> DataFrame:
     """Segments per window that aren't certified to lie inside it: by extents widened by the arrival bound (``padded``) or
-    by the extents themselves (``tau``)."""
+    by the extents themselves (``tau``).
+
+    Segments and window edges meet by equality on buckets of time as wide as a stream's longest padded segment, so that
+    only those around an edge are compared; whole segments inside are counted by position.
+    """
     pad = F.ceil(F.col("eps_t") / T) if rule == "padded" else F.lit(0)
     s = segments.select("sid", "j", (F.col("tau_lo") - pad).alias("p_lo"), (F.col("tau_hi") + pad).alias("p_hi"))
-    hit = queries.select("qid", "sid", "t_s", "t_e").join(s, "sid").where("p_lo <= t_e and p_hi > t_s")
-    return hit.groupBy("qid").agg(F.sum(((F.col("p_lo") < F.col("t_s")) | (F.col("p_hi") > F.col("t_e") + 1)).cast("long")).alias("edge"), F.count("*").alias("segments"))
+    width = s.groupBy("sid").agg((F.max(F.col("p_hi") - F.col("p_lo")) + 1).alias("_w"))
+    s = s.join(small(width), "sid").withColumn("_b", F.expr("floor(p_lo / _w)"))
+    q = queries.select("qid", "sid", "t_s", "t_e").join(small(width), "sid")
+    # a segment that an edge cuts starts at most one width before the edge
+    cuts = q.withColumn("_x", F.explode(F.array("t_s", F.col("t_e") + 1))).withColumn("_b", F.explode(F.array(F.expr("floor(_x / _w)"), F.expr("floor(_x / _w) - 1")))).drop("_w")
+    hit = cuts.join(s.drop("_w"), ["sid", "_b"]).where("p_lo <= t_e and p_hi > t_s and (p_lo < t_s or p_hi > t_e + 1)").select("qid", "j").distinct()
+    edges = hit.groupBy("qid").agg(F.count("*").alias("edge"))
+    # overlapping: those that start at or before the window's end, less those that end at or before its start
+    ends = q.select(F.col("qid").cast("string").alias("key"), "sid", (F.col("t_e") + 1).alias("x"))
+    starts = q.select(F.col("qid").cast("string").alias("key"), "sid", (F.col("t_s") + 1).alias("x"))
+    begun, over = ordering.ranks(ends, s, "p_lo").withColumnRenamed("rank", "_begun"), ordering.ranks(starts, s, "p_hi").withColumnRenamed("rank", "_over")
+    both = begun.join(over, "key").select(F.col("key").cast("long").alias("qid"), (F.col("_begun") - F.col("_over")).alias("segments"))
+    out = both.where("segments > 0").join(edges, "qid", "left")
+    return out.select("qid", F.coalesce("edge", F.lit(0)).alias("edge"), "segments")

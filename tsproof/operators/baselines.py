@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from tsproof.functions import cover
 from tsproof.operators import exact
+from tsproof.sources import small
 
 
 def scan(located: DataFrame, records: DataFrame, chunk: int = exact.FENCE) -> DataFrame:
@@ -42,10 +43,15 @@ def leaf_fold(located: DataFrame, nodes: DataFrame, records: DataFrame, fanout:
 
 
 def block_scan(queries: DataFrame, records: DataFrame) -> DataFrame:
-    """The status quo: walk the blocks of the window and filter their transactions."""
+    """The status quo: walk the blocks of the window and filter their transactions.  Windows and blocks meet by equality on
+    buckets of time, about one per 64 blocks."""
     r = records.select("sid", "height", "t", "v")
     blocks = r.groupBy("sid", "height").agg(F.min("t").alias("a"), F.max("t").alias("b"))
-    near = queries.select("qid", "sid", "t_s", "t_e").join(blocks, "sid").where("b >= t_s and a <= t_e")
+    width = blocks.groupBy("sid").agg(F.greatest(F.expr("(max(b) - min(a)) div greatest(count(*) div 64, 1) + 1"), F.max(F.col("b") - F.col("a")) + 1).alias("_w"))
+    blocks = blocks.join(small(width), "sid").withColumn("_k", F.expr("floor(a / _w)"))
+    # a block that reaches into the window starts at most one width before it
+    spans = queries.select("qid", "sid", "t_s", "t_e").join(small(width), "sid").withColumn("_k", F.explode(F.expr("sequence(floor(t_s / _w) - 1, floor(t_e / _w))"))).drop("_w")
+    near = spans.join(blocks.drop("_w"), ["sid", "_k"]).where("b >= t_s and a <= t_e").drop("_k")
     hit = near.join(r, ["sid", "height"])
     inside = F.col("t").between(F.col("t_s"), F.col("t_e"))
     return hit.groupBy("qid").agg(F.count_distinct("height").alias("blocks"), F.coalesce(F.sum(F.when(inside, F.col("v"))), F.lit(0)).alias("s"), F.count_if(inside).alias("n"))

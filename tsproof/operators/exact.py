@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from tsproof.functions import cover, encoding
+from tsproof.plans import ordering
 
 FENCE = 4096
 #: Keys of this many rows at most are broadcast; more are shuffled.
@@ -20,7 +21,7 @@ def ranks(edges: DataFrame, ordered: DataFrame, t: str, pos: str, chunk: int = F
     """rank = rows of a stream with time below x, for edges (key, sid, x).
 
     A fence of one row per chunk of positions finds the chunk by an as-of merge; only that chunk's rows are then counted,
-    through an equality join on (sid, chunk).
+    through an equality join on (sid, chunk).  The merge orders the fence (a row per ``chunk`` records) and the edges.
     """
     rows = ordered.select("sid", F.col(t).alias("_t"), F.col(pos).alias("_p"), F.expr(f"{pos} div {chunk}").alias("chunk"))
     fence = rows.groupBy("sid", "chunk").agg(F.min("_t").alias("x"))
@@ -31,18 +32,30 @@ def ranks(edges: DataFrame, ordered: DataFrame, t: str, pos: str, chunk: int = F
     return placed.join(below, "key", "left").select("key", (F.coalesce(F.col("chunk") * chunk, F.lit(0)) + F.coalesce("_c", F.lit(0))).alias("rank"))
 
 
+def bucket_ranks(edges: DataFrame, records: DataFrame, buckets: int = 4096) -> DataFrame:
+    """The same ranks from equal buckets of time: rows of earlier buckets from a table of their counts, rows of the edge's
+    own bucket through an equality join."""
+    span = records.groupBy("sid").agg(F.min("t").alias("_a"), F.max("t").alias("_b")).select("sid", "_a", F.expr(f"(_b - _a) div {buckets} + 1").alias("_w"))
+    at = lambda x: F.least(F.greatest(F.expr(f"floor(({x} - _a) / _w)"), F.lit(-1)), F.lit(buckets + 1)).cast("long")
+    rows = records.select("sid", "t").join(span, "sid").select("sid", "t", at("t").alias("bucket"))
+    counts = rows.groupBy("sid", "bucket").agg(F.count("*").alias("_c"))
+    upto = Window.partitionBy("sid").orderBy("bucket", "o").rowsBetween(Window.unboundedPreceding, 0)
+    marks = edges.join(span, "sid").select("key", "sid", "x", at("x").alias("bucket"))
+    both = marks.select("sid", "bucket", F.lit(0).alias("o"), "key", F.lit(0).alias("_c")).unionByName(counts.select("sid", "bucket", F.lit(1).alias("o"), F.lit(None).cast("string").alias("key"), "_c"))
+    earlier = both.withColumn("_before", F.sum("_c").over(upto)).where("o = 0").select("key", "_before")
+    own = marks.join(rows, ["sid", "bucket"]).groupBy("key").agg(F.sum((F.col("t") < F.col("x")).cast("long")).alias("_own"))
+    out = edges.select("key").join(earlier, "key", "left").join(own, "key", "left")
+    return out.select("key", (F.coalesce("_before", F.lit(0)) + F.coalesce("_own", F.lit(0))).alias("rank"))
+
+
 def locate(queries: DataFrame, records: DataFrame, anchors: DataFrame | None = None, how: str = "fence") -> DataFrame:
-    """lo, hi (first and last position in the window; lo = hi + 1 if none) and n for queries (qid, sid, t_s, t_e)."""
+    """lo, hi (first and last position in the window; lo = hi + 1 if none) and n for queries (qid, sid, t_s, t_e): by a
+    fence of chunks, a merge of all records (``asof``) or buckets of time (``range``)."""
     q = queries.select("qid", "sid", "t_s", "t_e")
-    if how == "range":
-        found = q.join(records.select("sid", "t"), "sid", "left").groupBy("qid").agg(F.sum((F.col("t") < F.col("t_s")).cast("long")).alias("lo"), F.sum((F.col("t") <= F.col("t_e")).cast("long")).alias("up"))
-        out = q.join(found, "qid").withColumns({"lo": F.coalesce("lo", F.lit(0)), "hi": F.coalesce("up", F.lit(0)) - 1}).drop("up")
-    else:
-        size = FENCE if how == "fence" else 1
-        ends = q.select(F.concat_ws("|", "qid", F.lit("s")).alias("key"), "sid", F.col("t_s").alias("x")).unionByName(q.select(F.concat_ws("|", "qid", F.lit("e")).alias("key"), "sid", (F.col("t_e") + 1).alias("x")))
-        r = ranks(ends, records, "t", "pos", size)
-        side = r.groupBy(F.split("key", r"\|")[0].cast("long").alias("qid")).agg(F.max(F.when(F.col("key").endswith("s"), F.col("rank"))).alias("lo"), (F.max(F.when(F.col("key").endswith("e"), F.col("rank"))) - 1).alias("hi"))
-        out = q.join(side, "qid")
+    ends = q.select(F.concat_ws("|", "qid", F.lit("s")).alias("key"), "sid", F.col("t_s").alias("x")).unionByName(q.select(F.concat_ws("|", "qid", F.lit("e")).alias("key"), "sid", (F.col("t_e") + 1).alias("x")))
+    r = {"fence": lambda: ranks(ends, records, "t", "pos"), "asof": lambda: ordering.ranks(ends, records, "t"), "range": lambda: bucket_ranks(ends, records)}[how]()
+    side = r.groupBy(F.split("key", r"\|")[0].cast("long").alias("qid")).agg(F.max(F.when(F.col("key").endswith("s"), F.col("rank"))).alias("lo"), (F.max(F.when(F.col("key").endswith("e"), F.col("rank"))) - 1).alias("hi"))
+    out = q.join(side, "qid")
     counts = anchors.select("sid", F.col("raw_n").alias("n")) if anchors is not None else records.groupBy("sid").agg(F.count("*").alias("n"))
     return out.join(counts, "sid", "left").withColumn("n", F.coalesce("n", F.lit(0))).select("qid", "sid", "t_s", "t_e", "lo", "hi", "n")
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from decimal import Decimal
 from math import ceil
 
 import numpy as np
@@ -10,6 +11,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from tsproof.functions.lines import T, V
+from tsproof.sources import small, written
 
 SCHEMA = "stream string, sid string, pos_lo long, c long, a long, b long, mu long, beta long, tau_lo long, t_last long, eps_v long, eps_t long"
 CHUNK = 65_536
@@ -134,8 +136,8 @@ def greedy(records: DataFrame, budgets: DataFrame, fit: str = "hull", chunk: int
     rows = rows.withColumn("chunk", F.expr(f"_tie div {chunk}"))
     per_region = budgets.select("sid", F.col("region").cast("long").alias("region"), "eps_v", "eps_t", "gap", "region_size")
     shape = per_region.groupBy("sid").agg(F.max("region_size").alias("_size"), F.max("region").alias("_last"))
-    rows = rows.join(F.broadcast(shape), "sid").withColumn("region", F.least(F.floor(F.col("pos") / F.col("_size")), F.col("_last")))
-    rows = rows.join(F.broadcast(per_region.drop("region_size")), ["sid", "region"]).drop("_size", "_last", "region", "_tie")
+    rows = rows.join(small(shape), "sid").withColumn("region", F.least(F.floor(F.col("pos") / F.col("_size")), F.col("_last")))
+    rows = rows.join(small(per_region.drop("region_size")), ["sid", "region"]).drop("_size", "_last", "region", "_tie")
 
     def run(key: tuple, group: pa.Table) -> pa.Table:
         g = group.sort_by("pos")
@@ -149,40 +151,80 @@ def greedy(records: DataFrame, budgets: DataFrame, fit: str = "hull", chunk: int
             et = max(abs(int(mu) * int(i) + int(beta) - (x - int(t[start])) * T) for i, x in zip(p, t[start : start + count].tolist()))
             if bound == "budget":
                 ev, et = max(ev, ceil(float(g.column("eps_v")[start].as_py()) * V)), max(et, ceil(float(g.column("eps_t")[start].as_py()) * T))
-            rows_out.append((g.column("stream")[0].as_py(), g.column("sid")[0].as_py(), int(pos[start]), count, a, b, mu, beta, int(t[start]), int(t[start + count - 1]), ev, et))
-        names = [x.split()[0] for x in SCHEMA.split(", ")]
-        types = [pa.string(), pa.string(), *[pa.int64()] * 10]
+            rows_out.append((g.column("stream")[0].as_py(), g.column("sid")[0].as_py(), int(pos[start]), count, a, b, mu, beta, int(t[start]), int(t[start + count - 1]), ev, et, key[1].as_py()))
+        names = [*[x.split()[0] for x in SCHEMA.split(", ")], "chunk"]
+        types = [pa.string(), pa.string(), *[pa.int64()] * 11]
         return pa.table({n: pa.array(c, k) for n, c, k in zip(names, zip(*rows_out), types)})
 
-    made = rows.groupBy("sid", "chunk").applyInArrow(run, SCHEMA)
-    w = Window.partitionBy("sid").orderBy("pos_lo")
-    return made.withColumns({"j": F.row_number().over(w).cast("long") - 1, "tau_hi": F.coalesce(F.lead("tau_lo").over(w), F.col("t_last") + 1)}).drop("t_last")
+    # numbered chunk by chunk: offsets and the next chunk's first instant come from a table of one row per chunk
+    made = written(rows.groupBy("sid", "chunk").applyInArrow(run, SCHEMA + ", chunk long"))
+    along = Window.partitionBy("sid").orderBy("chunk")
+    parts = made.groupBy("sid", "chunk").agg(F.count("*").alias("_c"), F.min("tau_lo").alias("_first"))
+    parts = parts.select("sid", "chunk", F.coalesce(F.sum("_c").over(along.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("_before"), F.lead("_first").over(along).alias("_next"))
+    w = Window.partitionBy("sid", "chunk").orderBy("pos_lo")
+    out = made.join(parts, ["sid", "chunk"])
+    out = out.withColumns({"j": F.row_number().over(w).cast("long") - 1 + F.col("_before"), "tau_hi": F.coalesce(F.lead("tau_lo").over(w), F.col("_next"), F.col("t_last") + 1)})
+    return out.select(*[x.split()[0] for x in SCHEMA.split(", ") if not x.startswith("t_last")], "j", "tau_hi")
 
 
 def _has_ties(records: DataFrame) -> bool:
     return not records.groupBy("sid", "t").count().where("count > 1").limit(1).isEmpty()
 
 
-def replay(segments: DataFrame, records: DataFrame, chunk: int = 4096) -> DataFrame:
+SEEN = "sid string, j long, dv decimal(38,0), dt decimal(38,0), seen long, t_min long, t_max long"
+_FITS = 2.0**62
+
+
+def _residuals(seg: dict[str, np.ndarray], at: np.ndarray, pos: np.ndarray, t: np.ndarray, v: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """|value error| and |arrival error| of records against their segments, exact: in 64 bits where no product can leave
+    them, else in Python's integers."""
+    g = {c: x[at] for c, x in seg.items()}
+    p = pos - g["pos_lo"]
+    big = lambda x: float(np.abs(x.astype(np.float64)).max(initial=0))
+    most = max(big(g["a"]) * big(p) + big(g["b"]) + big(v) * V, big(g["mu"]) * big(p) + big(g["beta"]) + big(t - g["tau_lo"]) * T)
+    if most >= _FITS:
+        g, p, v, t = {c: x.astype(object) for c, x in g.items()}, p.astype(object), v.astype(object), t.astype(object)
+    return abs(g["a"] * p + g["b"] - v * V), abs(g["mu"] * p + g["beta"] - (t - g["tau_lo"]) * T)
+
+
+def _replay_chunk(key: tuple, segs: pa.Table, rows: pa.Table) -> pa.Table:
+    """One merge by position of a chunk's records with the segments that reach into it."""
+    segs, rows = segs.sort_by("pos_lo"), rows.sort_by("pos")
+    seg = {c: segs.column(c).to_numpy() for c in ("j", "pos_lo", "c", "a", "b", "mu", "beta", "tau_lo")}
+    pos, t, v = (rows.column(c).to_numpy() for c in ("pos", "t", "v"))
+    at = np.searchsorted(seg["pos_lo"], pos, "right") - 1
+    inside = at >= 0
+    inside[inside] = pos[inside] < (seg["pos_lo"] + seg["c"])[at[inside]]
+    at, pos, t, v = at[inside], pos[inside], t[inside], v[inside]
+    kinds = ([pa.string(), pa.int64(), pa.decimal128(38, 0), pa.decimal128(38, 0), *[pa.int64()] * 3], [x.split()[0] for x in SEEN.split(", ")])
+    if not len(at):
+        return pa.table({n: pa.array([], k) for k, n in zip(*kinds, strict=True)})
+    dv, dt = _residuals(seg, at, pos, t, v)
+    first = np.flatnonzero(np.concatenate(([True], at[1:] != at[:-1])))
+    most = lambda x: [Decimal(int(y)) for y in np.maximum.reduceat(x, first)]
+    out = [[key[0].as_py()] * len(first), seg["j"][at[first]], most(dv), most(dt), np.diff([*first, len(at)]), np.minimum.reduceat(t, first), np.maximum.reduceat(t, first)]
+    return pa.table({n: pa.array(x, k) for x, k, n in zip(out, *kinds, strict=True)})
+
+
+def replay(segments: DataFrame, records: DataFrame, chunk: int = 16_384) -> DataFrame:
     """What validators do: each segment's records against both bounds, its count and the tiling of time.
 
+    One vectorised merge per chunk of positions, constant work a record; neighbours and counts of segments meet by
+    equality on (sid, j), so no task orders a stream.
     Result per segment: valid and the first reason (slope, tiling, count, value, arrival).
     """
-    w = Window.partitionBy("sid").orderBy("j")
-    ends = Window.partitionBy("sid")
-    s = segments.withColumns({"_next": F.lead("tau_lo").over(w), "_before": F.lag("tau_hi").over(w), "_jj": F.row_number().over(w) - 1, "_max": F.max("tau_hi").over(ends), "_min": F.min("tau_lo").over(ends)})
-    spans = s.withColumn("chunk", F.explode(F.sequence(F.expr(f"pos_lo div {chunk}"), F.expr(f"greatest(pos_lo + c - 1, pos_lo) div {chunk}"))))
+    spans = segments.select("sid", "j", "pos_lo", "c", "a", "b", "mu", "beta", "tau_lo").withColumn("chunk", F.explode(F.sequence(F.expr(f"pos_lo div {chunk}"), F.expr(f"greatest(pos_lo + c - 1, pos_lo) div {chunk}"))))
     rows = records.select("sid", "pos", "t", "v", F.expr(f"pos div {chunk}").alias("chunk"))
-    p = (F.col("pos") - F.col("pos_lo")).cast("decimal(18,0)")
-    dv = F.abs(F.col("a").cast("decimal(19,0)") * p + F.col("b") - F.col("v").cast("decimal(19,0)") * V)
-    dt = F.abs(F.col("mu").cast("decimal(19,0)") * p + F.col("beta") - (F.col("t") - F.col("tau_lo")).cast("decimal(19,0)") * T)
-    hit = spans.join(rows, ["sid", "chunk"]).where("pos >= pos_lo and pos < pos_lo + c")
-    seen = hit.groupBy("sid", "j").agg(F.max(dv).alias("_dv"), F.max(dt).alias("_dt"), F.count("*").alias("_c"), F.min("t").alias("_tlo"), F.max("t").alias("_thi"))
-    total = records.groupBy("sid").agg(F.count("*").alias("_n"))
-    s = s.join(seen, ["sid", "j"], "left").join(total, "sid", "left").withColumn("_sum", F.sum("c").over(ends))
+    seen = spans.groupBy("sid", "chunk").cogroup(rows.groupBy("sid", "chunk")).applyInArrow(_replay_chunk, SEEN)
+    seen = seen.groupBy("sid", "j").agg(F.max("dv").alias("_dv"), F.max("dt").alias("_dt"), F.sum("seen").alias("_c"), F.min("t_min").alias("_tlo"), F.max("t_max").alias("_thi"))
+    after = segments.select("sid", (F.col("j") - 1).alias("j"), F.col("tau_lo").alias("_next"))
+    whole = segments.groupBy("sid").agg(F.sum("c").alias("_sum"), F.count("*").alias("_segs"), F.min("j").alias("_first"), F.max("j").alias("_last"))
+    whole = whole.join(records.groupBy("sid").agg(F.count("*").alias("_n")), "sid", "left")
+    s = segments.join(seen, ["sid", "j"], "left").join(after, ["sid", "j"], "left").join(small(whole), "sid")
+    odd = (F.col("_first") != 0) | (F.col("_segs") != F.col("_last") + 1) | (F.col("_sum") != F.coalesce("_n", F.lit(0)))
     reason = (
         F.when(F.col("mu") <= 0, "slope")
-        .when((F.col("j") != F.col("_jj")) | (F.coalesce("_next", "tau_hi") != F.col("tau_hi")) | (F.col("_sum") != F.col("_n")), "tiling")
+        .when(odd | (F.col("j") < F.col("_last")) & (F.col("_next").isNull() | (F.col("_next") != F.col("tau_hi"))), "tiling")
         .when(F.coalesce("_c", F.lit(0)) != F.col("c"), "count")
         .when((F.col("_tlo") < F.col("tau_lo")) | (F.col("_thi") >= F.col("tau_hi")), "tiling")
         .when(F.col("_dv") > F.col("eps_v"), "value")

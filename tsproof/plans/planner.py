@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from tsproof.sources import small
+
 RECORD_BYTES, SEGMENT_BYTES = 16, 48
 
 
@@ -20,4 +22,4 @@ def choose(queries: DataFrame, stats: DataFrame, b_g: int = SEGMENT_BYTES, b_r:
     width = F.when(F.col("f") == "AVG", 2 * F.col("eps_v")).when(F.col("f") == "SUM", 2 * F.col("eps_v") * F.col("k")).otherwise(2 * F.col("eps_v"))
     pays = (F.col("f") != "RANGE") | (F.col("n") * b_r > F.col("s") * b_g)
     path = F.when(F.col("exact") | ~pays | (width > F.col("max_width")), "exact").otherwise("approximate")
-    return queries.join(F.broadcast(s), "sid", "left").select("qid", "sid", "f", F.coalesce(path, F.lit("exact")).alias("path"))
+    return queries.join(small(s), "sid", "left").select("qid", "sid", "f", F.coalesce(path, F.lit("exact")).alias("path"))

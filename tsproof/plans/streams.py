@@ -4,11 +4,11 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tsproof.plans import ordering
-from tsproof.sources import read_table
+from tsproof.sources import read_table, written
 
 
 def micros(ts: str) -> Column:
@@ -62,15 +62,13 @@ def _events(spark: SparkSession, d: str, sid: Column | None = None) -> DataFrame
 def _orders(spark: SparkSession, d: str, sid: Column) -> DataFrame:
     o = read_table(spark, d, "orders")
     day = F.expr("unix_micros(cast(o_orderdate as timestamp)) div 86400000000")
-    rank = F.row_number().over(Window.partitionBy("o_orderdate").orderBy("o_orderkey")) - 1
-    return from_transactions(o.withColumn("_r", rank), sid, micros("o_orderdate"), cents("o_totalprice"), day, F.col("_r"), F.create_map(F.lit("status"), F.col("o_orderstatus")))
+    return from_transactions(ordering.number(o, ["o_orderdate"], ["o_orderkey"], "_r"), sid, micros("o_orderdate"), cents("o_totalprice"), day, F.col("_r"), F.create_map(F.lit("status"), F.col("o_orderstatus")))
 
 
 def _lines(spark: SparkSession, d: str, sid: Column) -> DataFrame:
     x = read_table(spark, d, "lineitem")
     day = F.expr("unix_micros(cast(l_shipdate as timestamp)) div 86400000000")
-    rank = F.row_number().over(Window.partitionBy("l_shipdate").orderBy(*sorted(x.columns))) - 1
-    return from_transactions(x.withColumn("_r", rank), sid, micros("l_shipdate"), cents("l_extendedprice"), day, F.col("_r"), F.create_map(F.lit("returnflag"), F.col("l_returnflag")))
+    return from_transactions(ordering.number(x, ["l_shipdate"], sorted(x.columns), "_r"), sid, micros("l_shipdate"), cents("l_extendedprice"), day, F.col("_r"), F.create_map(F.lit("returnflag"), F.col("l_returnflag")))
 
 
 def _mean_of(spark: SparkSession, d: str, which: str) -> DataFrame:
@@ -113,24 +111,26 @@ STREAMS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "doc_chars": lambda s, d: from_sequence(read_table(s, d, "documents", ["doc_id", "lang", "n_chars"]), F.col("lang"), F.col("doc_id"), F.col("n_chars")),
     "page_chars": lambda s, d: from_sequence(read_table(s, d, "pages", ["page_id", "html"]), F.lit("pages"), F.col("page_id"), F.length("html")),
     "turn_chars": lambda s, d: from_sequence(read_table(s, d, "conversations", ["conv_id", "turn", "text"]), F.col("conv_id"), F.col("turn"), F.length("text")),
+    "label_flags": lambda s, d: from_sequence(read_table(s, d, "labels", ["doc_id", "quality", "toxic"]), F.lit("labels"), F.col("doc_id"), F.col("quality") * 2 + F.col("toxic")),
+    "item_chars": lambda s, d: from_sequence(read_table(s, d, "benchmark", ["item_id", "text"]), F.lit("items"), F.col("item_id"), F.length("text")),
     "first_component": lambda s, d: from_sequence(read_table(s, d, "embeddings", ["vec_id", "embedding"]), F.lit("emb"), F.col("vec_id"), F.floor(F.element_at("embedding", 1).cast("double") * 1000)),
 }
 #: The five kinds that the experiments compare.
 MAIN = ("rate_block", "event_tail", "event_amt", "state_balance", "const_unit")
 
 
-def stream(spark: SparkSession, directory: str, name: str, mode: str = "window") -> DataFrame:
+def stream(spark: SparkSession, directory: str, name: str, mode: str = "range") -> DataFrame:
     """Records of a named stream with positions, the stream's name in ``stream``."""
     return ordering.assign_positions(STREAMS[name](spark, directory), mode).withColumn("stream", F.lit(name))
 
 
 def statistics(records: DataFrame, segments: DataFrame | None = None) -> DataFrame:
     """Per stream and sid: records, mean and median gap, value variation, median absolute value, records per segment."""
-    gap = F.col("t") - F.lag("t").over(Window.partitionBy("stream", "sid").orderBy("pos"))
-    out = records.withColumn("gap", gap).groupBy("stream", "sid").agg(
-        F.count("*").alias("n"), F.avg("gap").alias("mean_gap"), F.percentile("gap", 0.5).alias("median_gap"), F.max("gap").alias("max_gap"),
-        (F.stddev_pop("v") / F.abs(F.avg("v"))).alias("cv"), F.percentile(F.abs("v"), 0.5).alias("median_abs"), F.percentile(F.abs("v"), 0.99).alias("p99_abs"), F.min("v").alias("min_v"),
-    )
+    keys = ["stream", "sid"]
+    gaps = written(ordering.before(records, "t", "_t", ("stream", "sid")).select(*keys, "v", (F.col("t") - F.col("_t")).alias("gap"), F.abs("v").alias("size")))
+    out = gaps.groupBy(*keys).agg(F.count("*").alias("n"), F.avg("gap").alias("mean_gap"), F.max("gap").alias("max_gap"), (F.stddev_pop("v") / F.abs(F.avg("v"))).alias("cv"), F.min("v").alias("min_v"))
+    out = out.join(ordering.quantiles(gaps, keys, {"median_abs": ("size", 0.5), "p99_abs": ("size", 0.99), "median_gap": ("gap", 0.5)}), keys, "left")
+    out = out.select(*keys, "n", "mean_gap", "median_gap", "max_gap", "cv", "median_abs", "p99_abs", "min_v")
     if segments is None:
         return out
     s = segments.groupBy("stream", "sid").agg(F.count("*").alias("s"))

@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from tsproof.plans import ordering
+
 MODULUS = 2_147_483_647  # prime; state * 48271 stays below 2^63
 
 
@@ -39,7 +41,7 @@ def windows(records: DataFrame, lengths: list[int], count: int, seed: int = 1) -
 def per_stream(records: DataFrame, each: int = 1) -> DataFrame:
     """``each`` windows for every sid: the middle part of its time extent, cut in equal spans; qid = rank * each + i."""
     span = records.groupBy("sid").agg(F.min("t").alias("a"), F.max("t").alias("b"))
-    ranked = span.withColumn("_r", F.row_number().over(Window.orderBy("sid")).cast("long") - 1)
+    ranked = ordering.number(span.withColumn("_all", F.lit(0)), ["_all"], ["sid"], "_r").drop("_all")
     grid = ranked.withColumn("_i", F.explode(F.sequence(F.lit(0), F.lit(each - 1))))
     step = (F.expr("(b - a) div 4") / each).cast("long")
     lo = F.col("a") + F.expr("(b - a) div 4") + F.col("_i") * step
