@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -125,10 +126,10 @@ def stream_prefix(spark: SparkSession, d: str) -> DataFrame:
     return streams.prefix(streams.stream(spark, d, "event_amt"), 300).groupBy("sid").agg(F.count("*").alias("n"), F.sum("v").alias("s"))
 
 
-@query("text_streams", "select 'doc_chars' as stream, lang as sid, count(*) as n, sum(n_chars)::bigint as s from documents group by lang union all select 'page_chars', 'pages', count(*), sum(length(html))::bigint from pages union all select 'first_component', 'emb', count(*), sum(floor(embedding[1]::double * 1000))::bigint from embeddings")
+@query("text_streams", "select 'doc_chars' as stream, lang as sid, count(*) as n, sum(n_chars)::bigint as s from documents group by lang union all select 'page_chars', 'pages', count(*), sum(length(html))::bigint from pages union all select 'first_component', 'emb', count(*), sum(floor(embedding[1]::double * 1000))::bigint from embeddings union all select 'turn_chars', conv_id::varchar, count(*), sum(length(text))::bigint from conversations group by conv_id union all select 'label_flags', 'labels', count(*), sum(quality * 2 + toxic)::bigint from labels union all select 'item_chars', 'items', count(*), sum(length(text))::bigint from benchmark")
 def text_streams(spark: SparkSession, d: str) -> DataFrame:
-    rows = [streams.STREAMS[x](spark, d).withColumn("stream", F.lit(x)) for x in ("doc_chars", "page_chars", "first_component")]
-    return rows[0].unionByName(rows[1]).unionByName(rows[2]).groupBy("stream", "sid").agg(F.count("*").alias("n"), F.sum("v").alias("s"))
+    rows = [streams.STREAMS[x](spark, d).withColumn("stream", F.lit(x)) for x in ("doc_chars", "page_chars", "first_component", "turn_chars", "label_flags", "item_chars")]
+    return reduce(DataFrame.unionByName, rows).groupBy("stream", "sid").agg(F.count("*").alias("n"), F.sum("v").alias("s"))
 
 
 # ---- trees ----------------------------------------------------------------------------------------------------------
@@ -279,6 +280,22 @@ _tagged("tagged_in", lambda t: t["event_type"] in ("click", "view", "purchase"),
 _tagged("tagged_not_and_compare", lambda t: t["event_type"] != "click" and int(t["user_id"]) < 50, "event_type <> 'click' and user_id < 50")
 
 
+def _tagged_by_column(name: str, condition: str, sql: str) -> None:
+    """A predicate as a column over verified records."""
+
+    @query(name, f"with {_windows_sql(_event_sql(), [50, 200])} select qid, true as accepted, coalesce(sum(v), 0)::bigint as s, count(v) as n from w left join r on r.sid = w.sid and r.t between w.t_s and w.t_e and ({sql}) group by qid")
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        p = ex.prepare(spark, d, "event_amt")
+        q = _windows(p, [50, 200])
+        rows = client.batch_records(exact.to_wire(exact.prove_range(_located(p, q), p.nodes, p.records), q, p.anchors))
+        kept = F.when(F.expr(condition), F.col("v"))
+        return rows.groupBy("qid").agg(F.bool_and("accepted").alias("accepted"), F.coalesce(F.sum(kept), F.lit(0)).alias("s"), F.count(kept).alias("n"))
+
+
+_tagged_by_column("tagged_or", "tags['event_type'] = 'click' or cast(tags['user_id'] as bigint) < 20", "event_type = 'click' or user_id < 20")
+_tagged_by_column("tagged_like_or_not", "tags['event_type'] like '%i%' or not cast(tags['user_id'] as bigint) between 10 and 90", "event_type like '%i%' or not user_id between 10 and 90")
+
+
 @query("worked_example", "select true as accepted, 31::bigint as total, 3::bigint as cnt, round(31 / 3.0, 6)::double as mean")
 def worked_example(spark: SparkSession, d: str) -> DataFrame:
     return ex.worked_example(spark)
@@ -397,6 +414,20 @@ def value_share(spark: SparkSession, d: str) -> DataFrame:
     return costs.value_share(ex.intervals(p, _windows(p)).withColumn("stream", F.lit("rate_block")))
 
 
+for _name in streams.MAIN:
+    query(f"approx_range_{_name}", f"with {_windows_sql(STREAM_SQL[_name], [20, 50])} select qid, pos, true as accepted, true as v_inside, true as t_inside from w join r on r.sid = w.sid and r.t between t_s and t_e")(lambda spark, d, n=_name: ex.retrieved(p := ex.prepare(spark, d, n), _windows(p, [20, 50])))
+
+for _f in ("MIN", "MAX"):
+
+    @query(f"approx_{_f.lower()}_opened", _inside_sql(_BLOCK, _f))
+    def approx_opened(spark: SparkSession, d: str, f: str = _f) -> DataFrame:
+        """Extremes whose slack comes from the opened segments instead of the anchored cap."""
+        p = ex.prepare(spark, d, "rate_block")
+        q = _windows(p)
+        found = client.batch_approx(ex.range_wire(p, q), "opened").join(q.select("qid", "sid"), "qid")
+        return costs.containment(found, exact.aggregate(_located(p, q), p.nodes)).where(F.col("f") == f).select("qid", "exact", "accepted", "inside")
+
+
 # ---- policies -------------------------------------------------------------------------------------------------------
 @query("region_touches", f"with {_windows_sql(_BLOCK)}, z as (select sid, least(lo // (n // 16), 15) as a, least(hi // (n // 16), 15) as b from w), y as (select sid, a, b, unnest(range(a, b + 1)) as region from z) select sid, region, count(*) as f_touch, sum((region = a)::int + (region = b)::int)::bigint as f_edge from y group by sid, region")
 def region_touches(spark: SparkSession, d: str) -> DataFrame:
@@ -463,6 +494,23 @@ def baseline_paths(spark: SparkSession, d: str) -> DataFrame:
     return baselines.per_record_paths(_located(p, _windows(p, [20, 50]))).select("qid", "records", "path_nodes")
 
 
+@query("baseline_paths_verified", f"with {_windows_sql(_event_sql(), [20, 50])} {_agg_sql('true as accepted, coalesce(sum(v), 0)::bigint as s, count(v) as n')}")
+def baseline_paths_verified(spark: SparkSession, d: str) -> DataFrame:
+    """A path per record, shipped and checked."""
+    p = ex.prepare(spark, d, "event_amt")
+    q = written(_windows(p, [20, 50]))
+    entries = baselines.prove_paths(_located(p, q), p.nodes, p.records)
+    return client.batch_paths(baselines.paths_wire(entries, q, p.anchors)).select("qid", "accepted", "s", "n")
+
+
+@query("baseline_paths_shipped", f"with {_windows_sql(_event_sql(), [20, 50])}, l as (select qid, n, unnest(range(greatest(lo - 1, 0), least(hi + 1, n - 1) + 1)) as pos, (select min(e) from range(40) y(e) where (1::bigint << e) >= n) as top from w), k as (select qid, n, pos, unnest(range(0, top)) as lvl from l) select qid, count_if(lvl = 0) as records, sum(case when (xor(pos >> lvl, 1)) << lvl < n then 1 else 0 end)::bigint as path_nodes from k group by qid")
+def baseline_paths_shipped(spark: SparkSession, d: str) -> DataFrame:
+    """Path nodes that really travel, with the two records beside the window."""
+    p = ex.prepare(spark, d, "event_amt")
+    entries = baselines.prove_paths(_located(p, _windows(p, [20, 50])), p.nodes, p.records)
+    return entries.select("qid", F.size("entries").cast("long").alias("records"), F.aggregate("entries", F.lit(0).cast("long"), lambda n, e: n + F.size(e["path"])).alias("path_nodes"))
+
+
 @query("baseline_leaves", f"with recursive {_windows_sql(_event_sql(), [20, 50])}{_DESCENT} select w.qid, (hi - lo + 1) as records, (select count(*) from keys where keys.qid = w.qid and role = 'sibling') as siblings from w")
 def baseline_leaves(spark: SparkSession, d: str) -> DataFrame:
     p = ex.prepare(spark, d, "event_amt")
@@ -492,12 +540,12 @@ def cost_transfer(spark: SparkSession, d: str) -> DataFrame:
     return costs.transfer(baselines.scan(_located(p, _windows(p)), p.records))
 
 
-_KINDS = sorted([*attacks.EXACT, *attacks.RANGE, *attacks.APPROX])
+_KINDS = sorted([*attacks.EXACT, *attacks.RANGE, *attacks.APPROX, *attacks.APPROX_RANGE])
 
 
-@query("tamper_matrix", "select unnest([" + ", ".join(f"'{k}'" for k in _KINDS) + "]) as kind, 40::bigint as attempts, 40::bigint as rejected, 40::bigint as as_expected")
+@query("tamper_matrix", "select stream, kind, 20::bigint as attempts, 20::bigint as rejected, 20::bigint as as_expected from (select unnest([" + ", ".join(f"'{k}'" for k in _KINDS) + "]) as kind), (select unnest([" + ", ".join(f"'{k}'" for k in streams.MAIN) + "]) as stream)")
 def tamper_matrix(spark: SparkSession, d: str) -> DataFrame:
-    return ex.tamper(spark, d, ("rate_block", "event_amt")).groupBy("kind").agg(F.sum("attempts").alias("attempts"), F.sum("rejected").alias("rejected"), F.sum("as_expected").alias("as_expected"))
+    return ex.tamper(spark, d)
 
 
 for _name, _make in (("experiment_stream_table", ex.stream_table), ("experiment_touched", ex.touched), ("experiment_proof_size", ex.proof_size), ("experiment_break_even", ex.break_even), ("experiment_widths", ex.widths), ("experiment_value_blindness", ex.value_blindness), ("experiment_scale", ex.scale), ("experiment_budget_sweep", ex.budget_sweep), ("experiment_halve", ex.halve), ("experiment_boundary", ex.boundary), ("experiment_encoders", ex.encoder_study), ("experiment_range_size", ex.range_size), ("experiment_agg_bytes", ex.agg_vo), ("experiment_repeats", ex.repeats), ("experiment_percentile_budget", ex.percentile_contrast), ("experiment_tamper", ex.tamper), ("experiment_latency", ex.latency), ("experiment_client_time", ex.client_time), ("experiment_construction", ex.construction)):
@@ -570,6 +618,14 @@ def udtf_cover(spark: SparkSession, d: str) -> DataFrame:
     return spark.sql("select qid, c.lvl, c.idx from located_windows w, lateral cover_nodes(w.lo, w.hi, w.n, 2) c")
 
 
+@query("udf_verify", f"with {_windows_sql(_event_sql())} {_agg_sql('true as accepted, coalesce(sum(v), 0)::bigint as s, count(v) as n, min(v) as mn, max(v) as mx')}")
+def udf_verify(spark: SparkSession, d: str) -> DataFrame:
+    """The client's check as a function in SQL."""
+    udf.register(spark)
+    p = ex.prepare(spark, d, "event_amt")
+    return spark.sql("select qid, x.accepted, x.s, x.n, x.mn, x.mx from (select qid, verify_window(sid, t_s, t_e, proof, anchor) as x from {wire})", wire=ex.wire(p, _windows(p)))
+
+
 @query("udaf_fold", f"with {_windows_sql(_event_sql())} {_agg_sql('coalesce(sum(v), 0)::bigint as s')}")
 def udaf_fold(spark: SparkSession, d: str) -> DataFrame:
     p = ex.prepare(spark, d, "event_amt")
@@ -754,7 +810,7 @@ def json_tags(spark: SparkSession, d: str) -> DataFrame:
     return _t(spark, d, "events", "props").select(F.from_json("props", "k int")["k"].alias("k")).groupBy("k").agg(F.count("*").alias("n"))
 
 
-for _form in ("csv", "json", "orc"):
+for _form in ("csv", "json", "orc", "text"):
     query(f"roundtrip_{_form}", f"select sid, pos, t, v from ({STREAM_SQL['by_type']})")(lambda spark, d, f=_form: round_trip(streams.stream(spark, d, "by_type").select("sid", "pos", "t", "v"), f))
 
 

@@ -75,6 +75,22 @@ def approx_wire(p: Prepared, q: DataFrame) -> DataFrame:
     return exact.to_wire(approx.prove_aggregate(approx.locate(q, p.segments), p.seg_nodes, p.segments), q, p.anchors)
 
 
+def range_wire(p: Prepared, q: DataFrame) -> DataFrame:
+    """Range retrieval over segments: every covering segment opened."""
+    return exact.to_wire(approx.prove_range(approx.locate(q, p.segments), p.seg_nodes, p.segments), q, p.anchors)
+
+
+def retrieved(p: Prepared, q: DataFrame) -> DataFrame:
+    """Per record of the windows: what the client rebuilt from segment proofs alone holds its value and time; and any
+    record that the client takes for certain though it isn't in the window (null flags)."""
+    located = exact.locate(q, p.records, p.anchors)
+    true = exact.prove_range(located, p.nodes, p.records).where("role = 'record'").select("qid", F.col("idx").alias("pos"), "rec.t", "rec.v", F.lit(True).alias("real"))
+    got = client.batch_approx_range(range_wire(p, q))
+    both = true.join(got, ["qid", "pos"], "full").where("real or certain or not accepted")
+    inside = lambda x: F.coalesce(F.col(x).between(F.col(f"{x}_lo"), F.col(f"{x}_hi")), F.lit(False)).alias(f"{x}_inside")
+    return both.select("qid", "pos", F.coalesce("accepted", F.lit(False)).alias("accepted"), inside("v"), inside("t"))
+
+
 def intervals(p: Prepared, q: DataFrame) -> DataFrame:
     """Derived intervals beside exact answers."""
     answers = exact.aggregate(exact.locate(q, p.records, p.anchors), p.nodes)
@@ -158,17 +174,32 @@ def sliding_cost(spark: SparkSession, d: str, name: str = "rate_block") -> DataF
     return _all([costs.delta_ratio(sliding.delta_proofs(vo, w, c)).withColumn("cache", F.lit(c)) for c in ("all", "current")]).withColumnRenamed("seq_id", "slide")
 
 
+def _older(spark: SparkSession, d: str, name: str) -> tuple[DataFrame, DataFrame]:
+    """Records and tree of a stream as it was before its last tenth."""
+    p, key = prepare(spark, d, name), (spark.sparkContext.applicationId, d, fingerprint(spark, d), name, "older")
+    if key not in _held:
+        r = streams.prefix(p.records, p.n - p.n // 10)
+        _held[key] = (r, written(aggtree.build(aggtree.record_leaves(r))))
+    return _held[key]
+
+
 def tamper(spark: SparkSession, d: str, names: tuple[str, ...] = streams.MAIN, count: int = 20) -> DataFrame:
     """Forgeries per stream and kind; all must be rejected."""
     out = []
-    for name in names:
-        p = prepare(spark, d, name)
-        q = queries_of(p, count, only=[lengths(p.n)[0]])
+    for name, other in zip(names, (*names[1:], names[0])):
+        p, o = prepare(spark, d, name), prepare(spark, d, other if other != name else next(x for x in streams.MAIN if x != name))
+        k = min(lengths(p.n)[0], lengths(o.n)[0])
+        old, old_nodes = _older(spark, d, name)
+        q = written(workload.windows(old, [k], count))  # windows that the past holds too
         located = written(exact.locate(q, p.records, p.anchors))
         mark = lambda w: w.withColumn("stream", F.lit(name))
-        out.append(attacks.tamper(mark(wire(p, q, located)), attacks.EXACT, attacks.forge_exact))
+        proofs = lambda vo, c: vo.groupBy("qid").agg(F.collect_list(F.struct("role", "lvl", "idx", "eta", "alpha", "rec")).alias(c))
+        theirs = proofs(exact.prove_aggregate(exact.locate(workload.windows(o.records, [k], count), o.records, o.anchors), o.nodes, o.records), "other_proof")
+        past = proofs(exact.prove_aggregate(exact.locate(q, old), old_nodes, old), "older_proof")
+        out.append(attacks.tamper(mark(wire(p, q, located).join(theirs, "qid").join(past, "qid")), attacks.EXACT, attacks.forge_exact))
         out.append(attacks.tamper(mark(exact.to_wire(exact.prove_range(located, p.nodes, p.records), q, p.anchors)), attacks.RANGE, attacks.forge_range))
         out.append(attacks.tamper(mark(approx_wire(p, q)), attacks.APPROX, attacks.forge_approx))
+        out.append(attacks.tamper(mark(range_wire(p, q)), attacks.APPROX_RANGE, attacks.forge_approx_range))
     return _all(out)
 
 
@@ -350,14 +381,16 @@ def halve(spark: SparkSession, d: str, names: tuple[str, ...] = ("rate_block", "
 
 
 def value_blindness(spark: SparkSession, d: str, names: tuple[str, ...] = ("event_tail", "event_amt", "state_balance", "state_centred", "const_unit", "rate_block")) -> DataFrame:
-    """Proof bytes of whole streams by window length: the exact path depends on records ``n``, not on values."""
+    """Proof bytes of whole streams by window length: the exact path depends on records ``n``, not on values.  ``spread``
+    is the largest mean over the smallest, less one, among streams of equal n."""
     out = []
     for name in names:
         p = prepare(spark, d, name)
         q = queries_of(p)
         size = costs.vo_bytes(exact.prove_aggregate(exact.locate(q, p.records, p.anchors), p.nodes, p.records)).join(q.select("qid", "k"), "qid")
         out.append(size.groupBy("k").agg(F.avg("bytes").alias("bytes")).withColumns({"stream": F.lit(name), "n": F.lit(p.n)}))
-    return _all(out)
+    rows = written(_all(out))
+    return rows.join(costs.spread(rows, ["n", "k"], "bytes"), ["n", "k"])
 
 
 def multi_source(spark: SparkSession, d: str, name: str = "by_user") -> DataFrame:

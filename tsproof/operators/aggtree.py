@@ -62,7 +62,7 @@ def lift(level: DataFrame, f: int, levels: int) -> DataFrame:
     return out.select("sid", F.col("x.lvl").alias("lvl"), F.floor(F.col("idx") / F.pow(F.lit(f), F.col("x.lvl"))).cast("long").alias("idx"), "x.nd.*")
 
 
-def build(leaves: DataFrame, fanout: int = 2, chunk: int = 10) -> DataFrame:
+def build(leaves: DataFrame, fanout: int = 2, chunk: int = 5) -> DataFrame:
     """All nodes (sid, lvl, idx, aggregate, eta) up to each stream's root; written once per pass."""
     leaves = leaves.select("sid", "idx", *encoding.ALPHA, "eta")
     totals = written(leaves.groupBy("sid").agg(F.count("*").alias("_n")).withColumn("_depth", cover.depth_column(F.col("_n"), fanout)))

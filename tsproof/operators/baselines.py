@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tsproof.functions import cover
+from tsproof.functions import cover, encoding
 from tsproof.operators import exact
 from tsproof.sources import small
 
@@ -37,6 +37,26 @@ def per_record_paths(located: DataFrame, fanout: int = 2, alpha: bool = False) -
     return got.withColumn("bytes", F.col("records") * 16 + F.col("path_nodes") * (64 if alpha else 32))
 
 
+def prove_paths(located: DataFrame, nodes: DataFrame, records: DataFrame, fanout: int = 2) -> DataFrame:
+    """What that baseline ships: per query the window's records and the two beside it, each with its own path (qid,
+    entries)."""
+    w = lambda lvl: F.pow(F.lit(fanout), lvl).cast("long")
+    at = located.where("n > 0").select("qid", "sid", "n", F.explode(F.sequence(F.greatest(F.col("lo") - 1, F.lit(0)), F.least(F.col("hi") + 1, F.col("n") - 1))).alias("pos"))
+    depth = cover.depth_column(F.col("n"), fanout)
+    steps = at.where("n > 1").withColumn("lvl", F.explode(F.sequence(F.lit(0), depth - 1)))
+    steps = steps.withColumn("_own", F.floor(F.col("pos") / w(F.col("lvl"))))
+    steps = steps.withColumn("idx", F.explode(F.transform(F.sequence(F.lit(0), F.lit(fanout - 1)), lambda c: F.floor(F.col("_own") / fanout) * fanout + c)))
+    steps = steps.where((F.col("idx") != F.col("_own")) & (F.col("idx") * w(F.col("lvl")) < F.col("n"))).select("qid", "sid", "pos", F.col("lvl").cast("int").alias("lvl"), F.col("idx").cast("long").alias("idx"))
+    got = steps.join(nodes, ["sid", "lvl", "idx"]).groupBy("qid", "pos").agg(F.collect_list(F.struct("lvl", "idx", "eta", F.struct(*[F.col(c) for c in encoding.ALPHA]).alias("alpha"))).alias("path"))
+    rows = at.join(records.select("sid", "pos", F.struct("t", "height", "i", "v", "tags").alias("rec")), ["sid", "pos"]).join(got, ["qid", "pos"], "left")
+    return rows.groupBy("qid").agg(F.collect_list(F.struct("pos", "rec", "path")).alias("entries"))
+
+
+def paths_wire(entries: DataFrame, queries: DataFrame, anchors: DataFrame) -> DataFrame:
+    anchor = anchors.select("sid", F.struct(*[c for c in anchors.columns if c != "sid"], "sid").alias("anchor"))
+    return queries.select("qid", "sid", "t_s", "t_e").join(entries, "qid", "left").join(small(anchor), "sid", "left")
+
+
 def leaf_fold(located: DataFrame, nodes: DataFrame, records: DataFrame, fanout: int = 2) -> DataFrame:
     """Authenticated leaves: a range proof whose aggregate the client works out itself."""
     return exact.prove_range(located, nodes, records, fanout)

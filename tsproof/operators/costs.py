@@ -51,6 +51,11 @@ def width_units(intervals: DataFrame, budgets: DataFrame) -> DataFrame:
     return intervals.join(b, "sid").withColumn("width", F.when(F.col("f") == "COUNT", w).otherwise(F.try_divide(w, F.col("_b")))).drop("_b")
 
 
+def spread(rows: DataFrame, keys: list[str], c: str) -> DataFrame:
+    """Largest over smallest of a measure within each key, less one."""
+    return rows.groupBy(*keys).agg((F.max(c) / F.min(c) - 1).alias("spread"))
+
+
 def containment(intervals: DataFrame, exact: DataFrame) -> DataFrame:
     """Each interval beside the exact answer: inside is the soundness claim (null answers of empty windows count)."""
     e = exact.select("qid", F.expr("stack(5, 'SUM', cast(s as double), 'COUNT', cast(n as double), 'MIN', cast(mn as double), 'MAX', cast(mx as double), 'AVG', cast(s as double) / nullif(n, 0)) as (f, exact)"))

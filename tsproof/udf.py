@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from tsproof.functions import cover
+from tsproof.operators import client
 
 
 @F.udtf(returnType=T.StructType([T.StructField("lvl", T.IntegerType()), T.StructField("idx", T.LongType())]))
@@ -18,10 +19,15 @@ class CoverNodes:
         yield from cover.cover(lo, hi, n, f)
 
 
-@F.pandas_udf(T.StringType())
-def root_text(eta: pd.Series, alpha: pd.Series) -> pd.Series:
-    """The text a parent binds for a child, vectorised."""
-    return eta + "|" + alpha
+VERDICT = T.StructType([T.StructField("accepted", T.BooleanType()), T.StructField("reason", T.StringType()), *[T.StructField(c, T.LongType()) for c in ("s", "n", "mn", "mx")]])
+
+
+@F.udf(returnType=VERDICT)
+def verify_window(sid: str, t_s: int, t_e: int, proof: list, anchor) -> tuple:
+    """The client's check of one window: only the query, its proof and the anchor."""
+    rows = [x.asDict(recursive=True) for x in proof or []]
+    v = client.verify({"sid": sid, "t_s": t_s, "t_e": t_e}, rows, anchor.asDict(recursive=True) if anchor else None)
+    return v.accepted, v.reason, v.s, v.n, v.mn, v.mx
 
 
 @F.pandas_udf(T.LongType())
@@ -34,7 +40,7 @@ def register(spark: SparkSession, sf_dir: str | None = None) -> None:
     """Functions, and a view per table of a folder if one is given."""
     spark.udtf.register("cover_nodes", CoverNodes)
     spark.udf.register("fold_sum", fold_sum)
-    spark.udf.register("root_text", root_text)
+    spark.udf.register("verify_window", verify_window)
     if sf_dir:
         for name in ("events", "orders", "lineitem", "customer", "nation", "region", "part", "supplier"):
             spark.read.parquet(f"{sf_dir}/{name}.parquet").createOrReplaceTempView(name)
