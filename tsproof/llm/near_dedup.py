@@ -40,6 +40,7 @@ ROWS = 4000  # rows a slice holds at most, so that the row number fits above a 5
 AGREE = 0.6
 #: A block of a bucket holds about so many members and shingles at most; groups of pass 2 are pairs of blocks.
 MEMBERS, SHINGLES = 256, 1 << 19
+SALTS = 32
 
 
 def shingle_sets(arr: pa.Array, size: int) -> tuple[np.ndarray, np.ndarray]:
@@ -207,7 +208,9 @@ def blocks_of(placed: DataFrame, members: int, shingles: int) -> DataFrame:
     opened = shared.written(placed.join(alike, "key").select("key", "doc_id", "n_shingles", "component_id", (F.col("component_id") == F.col("home")).alias("own")))
     side = opened.groupBy("key", "own").agg(F.greatest(F.ceil(F.count("*") / members), F.ceil(F.sum("n_shingles") / shingles)).cast("int").alias("c"))
     cuts = side.groupBy("key").agg(F.max(F.when(F.col("own"), F.col("c"))).alias("k"), F.max(F.when(~F.col("own"), F.col("c"))).alias("l"))
-    opened = opened.join(cuts, "key").withColumn("at", F.pmod(F.xxhash64("doc_id", F.lit(1)), F.when(F.col("own"), F.col("k")).otherwise(F.col("l"))).cast("int"))
+    # met in salted parts, so that the rows of one bucket are no single task's
+    salts = F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1)))
+    opened = opened.withColumn("salt", F.pmod(F.xxhash64("doc_id", F.lit(2)), F.lit(SALTS)).cast("int")).join(cuts.withColumn("salt", salts), ["key", "salt"]).withColumn("at", F.pmod(F.xxhash64("doc_id", F.lit(1)), F.when(F.col("own"), F.col("k")).otherwise(F.col("l"))).cast("int"))
     total = F.col("k") + F.col("l")
     with_own = F.transform(F.sequence(F.lit(0), F.col("k") - 1), lambda x: x * total + F.col("k") + F.col("at"))
     with_rest = F.transform(F.sequence(F.lit(0), F.col("l") - 1), lambda x: (F.col("k") + F.least(x, F.col("at"))) * total + F.col("k") + F.greatest(x, F.col("at")))
