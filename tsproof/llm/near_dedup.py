@@ -210,7 +210,7 @@ def blocks_of(placed: DataFrame, members: int, shingles: int) -> DataFrame:
     cuts = side.groupBy("key").agg(F.max(F.when(F.col("own"), F.col("c"))).alias("k"), F.max(F.when(~F.col("own"), F.col("c"))).alias("l"))
     # met in salted parts, so that the rows of one bucket are no single task's
     salts = F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1)))
-    opened = opened.withColumn("salt", F.pmod(F.xxhash64("doc_id", F.lit(2)), F.lit(SALTS)).cast("int")).join(cuts.withColumn("salt", salts), ["key", "salt"]).withColumn("at", F.pmod(F.xxhash64("doc_id", F.lit(1)), F.when(F.col("own"), F.col("k")).otherwise(F.col("l"))).cast("int"))
+    opened = opened.withColumn("salt", F.pmod(F.xxhash64("doc_id", F.lit(2)), F.lit(SALTS)).cast("int")).join(cuts.withColumn("salt", salts).hint("merge"), ["key", "salt"]).withColumn("at", F.pmod(F.xxhash64("doc_id", F.lit(1)), F.when(F.col("own"), F.col("k")).otherwise(F.col("l"))).cast("int"))
     total = F.col("k") + F.col("l")
     with_own = F.transform(F.sequence(F.lit(0), F.col("k") - 1), lambda x: x * total + F.col("k") + F.col("at"))
     with_rest = F.transform(F.sequence(F.lit(0), F.col("l") - 1), lambda x: (F.col("k") + F.least(x, F.col("at"))) * total + F.col("k") + F.greatest(x, F.col("at")))
