@@ -7,7 +7,7 @@ import pytest
 
 import __spark_entry__ as entry
 
-FAST = ["stream_records", "stream_stats", "block_headers", "positions_with_ties", "tree_root_fanout4", "cover_keys", "locate_fence", "agg_order_price", "agg_edge_cases", "verify_agg_event_amt", "tagged_in", "approx_avg", "baseline_paths", "tamper_matrix", "join_asof_backward", "join_full", "win_frames", "window_session", "set_except_all", "json_tags", "roundtrip_orc", "worked_example", "stream_enrich", "windows_by_time", "seg_external_encoder"]
+FAST = ["stream_records", "stream_stats", "block_headers", "positions_with_ties", "tree_root_fanout4", "cover_keys", "locate_fence", "agg_order_price", "agg_edge_cases", "verify_agg_event_amt", "tagged_in", "approx_avg", "baseline_paths", "approx_range_rate_block", "tagged_or", "udf_verify", "baseline_paths_verified", "join_asof_backward", "join_full", "win_frames", "window_session", "set_except_all", "json_tags", "roundtrip_orc", "worked_example", "stream_enrich", "windows_by_time", "seg_external_encoder"]
 
 
 def plain(rows):
