@@ -236,8 +236,7 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, per_cent: int = 80, coord
     made = shared.written(made)
     some = made.where("n_shingles > 0")
 
-    classes = some.groupBy("n_shingles", "d1", "d2").agg(F.min("doc_id").alias("head"))
-    member = some.select("doc_id", "n_shingles", "d1", "d2").join(classes, ["n_shingles", "d1", "d2"]).select("doc_id", "head")
+    classes = some.groupBy("n_shingles", "d1", "d2").agg(F.min("doc_id").alias("head"), F.count("*").alias("copies"))
     heads = some.join(classes.select(F.col("head").alias("doc_id")), "doc_id", "left_semi")
 
     dealt = heads.select("doc_id", "n_shingles", F.explode("bands").alias("key"))
@@ -259,7 +258,10 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, per_cent: int = 80, coord
     if not extra.isEmpty():
         comp = components(links.union(extra))
 
-    final = made.select("doc_id", "n_shingles").join(member, "doc_id", "left")
-    final = final.join(comp.withColumnRenamed("doc_id", "head"), "head", "left")
-    final = final.withColumn("component_id", F.coalesce("component_id", "head", "doc_id"))
+    # heads find their component by id; copies, of which one class may hold most, find that of their class in salted parts
+    settled = classes.where("copies > 1").join(comp.withColumnRenamed("doc_id", "head"), "head", "left")
+    settled = settled.select("n_shingles", "d1", "d2", F.coalesce("component_id", "head").alias("of_class"), F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
+    final = made.select("doc_id", "n_shingles", "d1", "d2", F.pmod(F.xxhash64("doc_id", F.lit(2)), F.lit(SALTS)).cast("int").alias("salt"))
+    final = final.join(settled.hint("merge"), ["n_shingles", "d1", "d2", "salt"], "left").join(comp, "doc_id", "left")
+    final = final.withColumn("component_id", F.coalesce("of_class", "component_id", "doc_id"))
     return final.select("doc_id", "n_shingles", "component_id", (F.col("doc_id") == F.col("component_id")).alias("kept"))
