@@ -27,7 +27,7 @@ def equals_sql(spark, sf, name):
     return rows
 
 
-@pytest.mark.parametrize(("name", "op", "pick"), [("join_asof_backward_whole", "<=", "max"), ("join_asof_forward_whole", ">=", "min")])
+@pytest.mark.parametrize(("name", "op", "pick"), [("join_asof_backward", "<=", "max"), ("join_asof_forward", ">=", "min")])
 def test_asof_takes_every_order(spark, sf, name, op, pick):
     rows, db = equals_sql(spark, sf, name), database(sf)
     assert len(rows) == db.execute("select count(*) from orders").fetchone()[0]
@@ -38,7 +38,7 @@ def test_asof_takes_every_order(spark, sf, name, op, pick):
 
 @pytest.mark.parametrize("how", ["left", "right", "full"])
 def test_outer_joins_take_every_row(spark, sf, how):
-    rows, db = equals_sql(spark, sf, f"join_{how}_whole"), database(sf)
+    rows, db = equals_sql(spark, sf, f"join_{how}"), database(sf)
     assert sum(r["n"] for r in rows) == db.execute("select count(*) from orders").fetchone()[0]
     if how != "right":
         assert len({r["c_custkey"] for r in rows} - {None}) == db.execute("select count(*) from customer").fetchone()[0]
