@@ -69,3 +69,15 @@ def test_encoder_study_reports_unmatched_counts(spark, sf):
     assert {r["policy"] for r in rows} == {"uniform", "learned", "adversarial", "edge_aware"}
     assert all(r["matched"] == (abs(r["s"] - r["target"]) <= 0.02 * r["target"]) for r in rows)
     assert all(r["matched"] for r in rows if r["policy"] == "uniform")
+
+
+@pytest.mark.parametrize("name", ["arrival_inversion"])
+def test_small_jobs_read_a_given_table(spark, sf, name):
+    rows, db = equals_sql(spark, sf, name), database(sf)
+    per = "distinct user_id" if name == "worked_example" else "*"
+    assert len(rows) == db.execute(f"select count({per}) from events").fetchone()[0]
+    assert entry.queries()[name](spark, sf).inputFiles()
+    if name == "planner_choice":
+        assert {r["path"] for r in rows} == {"exact", "approximate"}
+    if name == "line_closed_forms":
+        assert min(r["a"] for r in rows) < 0 < max(r["a"] for r in rows)
