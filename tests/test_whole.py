@@ -71,7 +71,7 @@ def test_encoder_study_reports_unmatched_counts(spark, sf):
     assert all(r["matched"] for r in rows if r["policy"] == "uniform")
 
 
-@pytest.mark.parametrize("name", ["arrival_inversion", "line_closed_forms", "maths_integer", "planner_choice"])
+@pytest.mark.parametrize("name", ["arrival_inversion", "line_closed_forms", "maths_integer", "planner_choice", "worked_example"])
 def test_small_jobs_read_a_given_table(spark, sf, name):
     rows, db = equals_sql(spark, sf, name), database(sf)
     per = "distinct user_id" if name == "worked_example" else "*"
