@@ -51,3 +51,23 @@ def test_fold_equals_window_pass(spark, sf):
     a = written(aggtree.fold(leaves, 2, 4)).select("sid", "lvl", "idx", "s", "n", "mn", "mx", "t_lo", "t_hi", "w", "eta")
     b = written(aggtree.lift(leaves, 2, 4)).where("lvl > 0").select(*a.columns)
     assert a.exceptAll(b).count() == 0 and b.exceptAll(a).count() == 0
+
+
+@pytest.mark.parametrize("f", [2, 3])
+def test_a_shortened_tree_is_the_tree_of_the_prefix(spark, f):
+    sizes = {f"{n}-{m}": (n, m) for n, m in ((1, 1), (9, 1), (9, 8), (30, 17), (30, 27), (100, 64), (100, 99), (100, 100))}
+    rows = [(sid, i, 10 * i, i, 0, i * 7 % 13 - 5, {"a": "b"}) for sid, (n, _) in sizes.items() for i in range(n)]
+    r = spark.createDataFrame(rows, "sid string, pos long, t long, height long, i int, v long, tags map<string,string>")
+    of = spark.createDataFrame([(sid, m) for sid, (_, m) in sizes.items()], "sid string, n long")
+    got = aggtree.shortened(aggtree.build(aggtree.record_leaves(r), f), of, f)
+    true = aggtree.build(aggtree.record_leaves(r.join(of, "sid").where("pos < n").drop("n")), f)
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, true.collect()))
+
+
+def test_tamper_builds_all_streams_in_one_batch(spark, sf, monkeypatch):
+    built, build = [], aggtree.build
+    monkeypatch.setattr(aggtree, "build", lambda *a, **k: built.append(1) or build(*a, **k))
+    rows = ex.tamper(spark, sf, ("event_amt", "const_unit"), 2).collect()
+    assert len(built) == 2  # records and segments of both streams; their past isn't built again
+    assert {r["stream"] for r in rows} == {"event_amt", "const_unit"} and len(rows) == 2 * 20
+    assert all(r["attempts"] == r["rejected"] == r["as_expected"] == 2 for r in rows)
