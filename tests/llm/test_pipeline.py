@@ -4,7 +4,7 @@ import corpus_pipeline
 import pytest
 from pyspark.sql import functions as F
 
-from tsproof.llm import queries, shared
+from tsproof.llm import queries, shared, toxicity
 
 
 def test_stages_keep_the_columns_and_take_effect(spark, sf):
@@ -45,3 +45,25 @@ def test_scratch_is_released(spark):
     with pytest.raises(Exception):
         a.count()
     assert shared.release(spark, start) == 1
+
+
+def resident():
+    """MB of the process's own memory."""
+    rows = dict(x.split(":") for x in open("/proc/self/status"))
+    return int(rows["RssAnon"].split()[0]) // 1024
+
+
+def test_freed_memory_goes_back_to_the_system():
+    held = [bytearray(60_000) for _ in range(3000)]
+    pins = held[1::100]  # allocations in between keep the allocator from shrinking by itself
+    del held
+    before = resident()
+    shared.give_back()
+    assert before - resident() > 100 and len(pins) == 30
+
+
+def test_training_leaves_nothing_behind(spark, sf, monkeypatch):
+    back, give_back = [], shared.give_back
+    monkeypatch.setattr(shared, "give_back", lambda: back.append(1) or give_back())
+    toxicity.train(shared.table(spark, sf, "documents"), shared.table(spark, sf, "labels"))
+    assert back

@@ -175,7 +175,12 @@ def train(docs: DataFrame, labels: DataFrame, held_out=None, positives: int = 15
     picked = [usable.where(c).select("doc_id", "toxic", F.xxhash64("doc_id").alias("_h")).orderBy("_h").limit(n) for c, n in (("toxic > 0", positives), ("toxic <= 0", negatives))]
     sample = docs.select("doc_id", "text").join(F.broadcast(picked[0].union(picked[1]).select("doc_id", "toxic")), "doc_id")
     rows = sample.where("text is not null").select("doc_id", "text", "toxic").toPandas().sort_values(["doc_id", "text"])
-    return fit(rows["text"].tolist(), (rows["toxic"] > 0).to_numpy(), ones / max(count, 1), **options)
+    texts, toxic = rows["text"].tolist(), (rows["toxic"] > 0).to_numpy()
+    del rows
+    model = fit(texts, toxic, ones / max(count, 1), **options)
+    del texts
+    shared.give_back()
+    return model
 
 
 def _scorer(model):
