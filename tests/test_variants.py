@@ -1,5 +1,6 @@
 """Several budgets of a stream in one batch."""
 
+import numpy as np
 import pytest
 
 from tsproof import experiments as ex
@@ -71,3 +72,39 @@ def test_tamper_builds_all_streams_in_one_batch(spark, sf, monkeypatch):
     assert len(built) == 2  # records and segments of both streams; their past isn't built again
     assert {r["stream"] for r in rows} == {"event_amt", "const_unit"} and len(rows) == 2 * 20
     assert all(r["attempts"] == r["rejected"] == r["as_expected"] == 2 for r in rows)
+
+
+@pytest.mark.parametrize(("gaps", "eps_t"), [((1, 20), 2.5), ((0, 3), 30.0), ((0, 1), 0.0)])
+def test_side_by_side_growth_equals_growth_alone(gaps, eps_t, monkeypatch):
+    rng = np.random.default_rng(5)
+    for n in (1, 2, 300):
+        t = np.cumsum(rng.integers(*gaps, n))
+        for v in (rng.integers(-50, 50, n), np.cumsum(rng.integers(-5, 6, n)), np.ones(n, np.int64)):
+            args = (t, v, np.full(n, 3.0), np.full(n, eps_t), 5.0, "hull")
+            both = segments.encode_chunk(*args)
+            with monkeypatch.context() as m:
+                m.setattr(segments, "_grow_all", lambda t, *_: (np.zeros(len(t), np.int64), *[np.zeros(len(t))] * 4))
+                assert both == segments.encode_chunk(*args)
+            assert sum(x[1] for x in both) == n
+
+
+def test_growth_side_by_side_takes_all_short_segments():
+    t = np.arange(5000) * 10 + np.arange(5000) % 7
+    v = np.where(np.arange(5000) % 3, 0, 100)
+    assert segments._grow_all(t, v, np.full(5000, 1.0), np.full(5000, 5.0))[0].all()
+
+
+def test_counts_are_those_of_the_segments(spark, sf):
+    p = ex.prepare(spark, sf, "event_amt")
+    b = written(ex._marked(p.budgets, ["a"]).unionByName(ex._marked(budget.scaled(p.budgets, 3.0), ["b"])))
+    made = {r["sid"]: r["count"] for r in segments.greedy(p.records, b, variants=True).groupBy("sid").count().collect()}
+    assert made == {r["sid"]: r["count"] for r in segments.counts(p.records, b, variants=True).collect()} and len(made) == 2
+
+
+def test_encoder_study_matches_all_streams_in_the_same_rounds(spark, sf, monkeypatch):
+    rounds, built, counts, build = [], [], segments.counts, aggtree.build
+    monkeypatch.setattr(segments, "counts", lambda *a, **k: rounds.append(1) or counts(*a, **k))
+    monkeypatch.setattr(aggtree, "build", lambda *a, **k: built.append(1) or build(*a, **k))
+    rows = ex.encoder_study(spark, sf, ("rate_block", "const_unit"), (0.5, 0.9), rounds=3).collect()
+    assert {r["stream"] for r in rows} == {"rate_block", "const_unit"} and len(rows) == 16
+    assert all(r["inside"] for r in rows) and len(rounds) <= 4 and len(built) <= 2
