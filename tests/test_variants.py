@@ -1,10 +1,13 @@
 """Several budgets of a stream in one batch."""
 
 import numpy as np
+import pyarrow as pa
 import pytest
+from pyspark.sql import functions as F
 
 from tsproof import experiments as ex
 from tsproof.operators import aggtree, budget, segments
+from tsproof.plans import streams
 from tsproof.sources import written
 
 
@@ -108,3 +111,30 @@ def test_encoder_study_matches_all_streams_in_the_same_rounds(spark, sf, monkeyp
     rows = ex.encoder_study(spark, sf, ("rate_block", "const_unit"), (0.5, 0.9), rounds=3).collect()
     assert {r["stream"] for r in rows} == {"rate_block", "const_unit"} and len(rows) == 16
     assert all(r["inside"] for r in rows) and len(rounds) <= 4 and len(built) <= 2
+
+
+def test_fold_by_columns_equals_fold_by_rows():
+    for f, levels in ((2, 3), (4, 2)):
+        rows = [(sid, i, 10**e * (i - 3), 1, i % 5 - 2, i % 7, i, i + 1, i, f"h{i}") for sid, n, e in (("a", 1, 0), ("b", 37, 0), ("c", 9, 18)) for i in range(n)]
+        names = ["sid", "idx", "s", "n", "mn", "mx", "t_lo", "t_hi", "w", "eta"]
+        table = pa.table({c: pa.array([str(x) for x in v] if c in ("s", "w") else list(v)) for c, v in zip(names, zip(*rows))})
+        want = [tuple(r.values()) for r in aggtree._batch(list(aggtree._fold_chunks(rows, f, levels))).to_pylist()]
+        assert [tuple(r.values()) for r in aggtree._fold_table(table, f, levels).to_pylist()] == want
+
+
+def test_several_streams_are_the_streams(spark, sf):
+    names = ("rate_block", "event_tail", "event_amt", "state_balance", "const_unit")
+    got = streams.several(spark, sf, names)
+    for x in names:
+        one = streams.stream(spark, sf, x).select(F.concat_ws("|", F.lit(x), "sid"), "pos", "t", "height", "i", "v", F.to_json("tags"))
+        mine = got.where(F.col("stream") == x).select("sid", "pos", "t", "height", "i", "v", F.to_json("tags"))
+        assert sorted(map(tuple, mine.collect())) == sorted(map(tuple, one.collect()))
+
+
+def test_boundary_builds_all_streams_in_one_batch(spark, sf, encodings, monkeypatch):
+    built, build = [], aggtree.build
+    monkeypatch.setattr(aggtree, "build", lambda *a, **k: built.append(1) or build(*a, **k))
+    encodings.clear()
+    rows = ex.boundary(spark, sf, ("event_amt", "const_unit"), (0.5, 2.0), 5).collect()
+    assert len(rows) == 4 and all(r["inside"] for r in rows)
+    assert len(encodings) == 1 and len(built) == 2  # records and segments of both streams under both budgets
